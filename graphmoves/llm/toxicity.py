@@ -89,7 +89,7 @@ class Kernel:
         return np.minimum((self.raw(texts) / self.own) ** 2, 1.5)
 
 
-def choose_landmarks(rows: list[tuple[int, set[str]]], count: int = 20, least: int = 4, most: int = 9, plain: int = 0) -> list[str]:
+def choose_landmarks(rows: list[tuple[int, set[str]]], count: int = 20, least: int = 4, most: int = 9, plain: int = 2) -> list[str]:
     """Stems (substrings) that many toxic and few other texts hold; with `plain`, also frequent words of the others."""
     toxic, other = Counter(), Counter()
     for y, ws in rows:
