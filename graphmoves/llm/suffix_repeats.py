@@ -225,14 +225,15 @@ def _bodies(docs: DataFrame, wanted: DataFrame, length: int) -> DataFrame:
 def repeated_spans(docs: DataFrame, min_bytes: int = MIN_BYTES, most: int = MOST) -> DataFrame:
     """d, tk, spans array<struct<lo, hi>>: byte ranges of each document that `min_bytes` long repeats cover; may overlap."""
     found = segments(docs, min_bytes)
-    twice = found.groupBy("h").agg(F.count("*").alias("m")).where("m > 1").select("h")
+    # a table of its own: a join of two plain exchanges, whose hot partitions Spark can split
+    twice = snapshot(found.groupBy("h").agg(F.count("*").alias("m")).where("m > 1").select("h"))
     found = snapshot(found.join(twice, "h"))
     kinds = snapshot(found.groupBy("h", "sh").agg(F.count("*").alias("m"), F.min(F.struct("d", "tk", "p", "a", "b")).alias("r")))
     whole = kinds.where("m > 1").select("h", "sh", F.lit(0).alias("lo"), (F.col("r.b") - F.col("r.a") + min_bytes).cast("int").alias("hi"))
-    several = kinds.groupBy("h").agg(F.count("*").alias("kinds"), F.min("m").alias("least")).where("kinds > 1 and least = 1").select("h")
+    several = snapshot(kinds.groupBy("h").agg(F.count("*").alias("kinds"), F.min("m").alias("least")).where("kinds > 1 and least = 1").select("h"))
     pieces = snapshot(_bodies(docs, kinds.join(several, "h").select("h", "sh", "r.*"), min_bytes))
 
-    marks, width, olds = [whole], min_bytes - min_bytes // 3 + 1, [kinds]
+    marks, width, olds = [whole], min_bytes - min_bytes // 3 + 1, [twice, several, kinds]
     while True:
         sizes = snapshot(pieces.groupBy("g").agg(F.count("*").alias("kinds")).where("kinds > 1"))
         small = pieces.join(sizes.where(F.col("kinds") <= most).select("g"), "g")
