@@ -108,7 +108,8 @@ def near_duplicate_classes(docs: DataFrame, percent: int = 85, size: int = SHING
     known = snapshot(full_sets(_texts(docs, classes.select("id", "tk").join(probes.select("id").distinct(), "id")), size))
     info = classes.select("id", "n", "sketch")
 
-    leaders = probes.groupBy("v").agg(F.min("id").alias("a"))
+    # small tables of their own, so that the joins' hot partitions can be split
+    leaders = snapshot(probes.groupBy("v").agg(F.min("id").alias("a")))
     stars = probes.join(leaders, "v").where("a < id").select("a", F.col("id").alias("b")).distinct()
     links = snapshot(_verified(stars, info, known, percent, k))
     comp = components(links)
@@ -117,6 +118,7 @@ def near_duplicate_classes(docs: DataFrame, percent: int = 85, size: int = SHING
     placed = snapshot(placed)
     parts = placed.groupBy("v", "c").agg(F.count("*").alias("m"))
     mixed = parts.groupBy("v").agg(F.max(F.struct("m", "c")).getField("c").alias("most"), F.count("*").alias("cs")).where("cs > 1").select("v", "most")
+    mixed = snapshot(mixed)
     mixed = snapshot(placed.join(mixed, "v"))
     outside = mixed.where("c <> most").select("v", F.col("id").alias("x"), F.col("c").alias("cx"))
     # a list's leader has met everyone already; both ends outside: once
@@ -133,7 +135,7 @@ def near_duplicate_classes(docs: DataFrame, percent: int = 85, size: int = SHING
 def _probes(classes: DataFrame, percent: int, k: int) -> DataFrame:
     """v, id: postings of each class's rarest values, without values that one class alone has."""
     postings = classes.select("id", "tk", "n", F.size("sketch").alias("kept"), F.explode("sketch").alias("v"))
-    common = postings.groupBy("v").agg(F.count("*").alias("df")).where("df > 1")
+    common = snapshot(postings.groupBy("v").agg(F.count("*").alias("df")).where("df > 1"))
     held = postings.join(common, "v").groupBy("id", "tk").agg(F.first("n").alias("n"), F.first("kept").alias("kept"), F.sort_array(F.collect_list(F.struct("df", "v"))).alias("vs"))
     room = probe_size(F.col("n"), percent, k) - (F.col("kept") - F.size("vs"))
     probes = held.where(room > 0).select("id", F.explode(F.slice("vs", F.lit(1), room)).alias("p")).select(F.col("p.v").alias("v"), "id")
