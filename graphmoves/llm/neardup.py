@@ -4,9 +4,9 @@ A sketch is the k smallest hashes of a document's distinct word shingles. Docume
 sets form one class first. Inverted lists of retained values then give candidates: of each class only
 the values rarest in the corpus, and only so many that a linked pair must share one (`probe_size`). The
 union-sketch estimate drops most candidates; exact Jaccard on full sets decides.
-Lists are never expanded into all pairs: first each member meets its list's leader only; then, inside
-lists whose members lie in more than one component, members outside the list's largest component meet
-the others. A pair in one component needs no test, so no link is lost.
+Lists are never expanded into all pairs: first each member meets its list's leader only; then members of
+lists that lie in more than one component get new lists, by the rarest values of their full sets and their
+sizes, and in these the members outside the list's largest component meet the others. A pair in one component needs no test, so no link is lost.
 Edge cases: null or wordless texts have the empty set, class of their own, linked with nothing; rows
 equal in id and text are one document, and rows that share an id are one node; rows without an id are a
 document per text, and their component_id is null unless a row with an id joins them.
@@ -26,7 +26,8 @@ from graphmoves.llm.common import Rolling, blocks, doc_key, mix64, packed, read_
 from graphmoves.llm.components import components
 
 SHINGLE = 5
-K = 64
+K = 96
+SIGMAS = 5
 _HASH = Rolling(fold_case=True, seed=7)
 _MULTIPLIERS = mix64(np.arange(1, 65, dtype=np.uint64)) | np.uint64(1)
 
@@ -90,13 +91,15 @@ def full_sets(docs: DataFrame, size: int = SHINGLE) -> DataFrame:
 def probe_size(n: Column, percent: int, k: int) -> Column:
     """How many of the rarest retained values to look up so that linked pairs share one.
 
-    Sketches that hold whole sets: exactly n - ceil(t n) + 1. Else at most (1 - t) k values of a
-    sketch are expected to be missing in the other; six standard deviations more are looked up.
+    Sketches that hold whole sets: exactly n - ceil(t n) + 1. Else a sketch of k values, drawn from a
+    union of at most n / t, is expected to miss at most (1 - t) k of them in the other; SIGMAS standard
+    deviations of that draw without replacement are looked up besides.
     """
     t = percent / 100
-    sampled = math.ceil((1 - t) * k + 6 * math.sqrt(k * t * (1 - t))) + 1
+    union = F.greatest(n / t, F.lit(k + 1.0))
+    sampled = F.ceil((1 - t) * k + SIGMAS * F.sqrt(k * t * (1 - t) * (union - k) / (union - 1))) + 1
     exact = n - F.ceil(n * percent / 100) + 1
-    return F.when(n < math.floor(t * k), exact).otherwise(F.lit(sampled)).cast("int")
+    return F.when(n < math.floor(t * k), exact).otherwise(sampled).cast("int")
 
 
 def near_duplicate_classes(docs: DataFrame, percent: int = 85, size: int = SHINGLE, k: int = K) -> DataFrame:
@@ -104,7 +107,7 @@ def near_duplicate_classes(docs: DataFrame, percent: int = 85, size: int = SHING
     own = snapshot(sketches(docs, size, k))  # documents that share an id are one node
     classes = own.where("s1 is not null").groupBy("s1", "s2").agg(F.min("d").alias("id"), F.min_by("tk", "d").alias("tk"), F.first("n").alias("n"), F.first("sketch").alias("sketch"))
     classes = snapshot(classes)
-    probes = _probes(classes, percent, k)
+    probes = _probes(classes.select("id", F.col("tk").alias("tag"), "n", F.col("sketch").alias("vals")), probe_size(F.col("n"), percent, k))
     known = snapshot(full_sets(_texts(docs, classes.select("id", "tk").join(probes.select("id").distinct(), "id")), size))
     info = classes.select("id", "n", "sketch")
 
@@ -114,15 +117,14 @@ def near_duplicate_classes(docs: DataFrame, percent: int = 85, size: int = SHING
     links = snapshot(_verified(stars, info, known, percent, k))
     comp = components(links)
 
-    placed = probes.join(comp.select("id", "c"), "id", "left").select("v", "id", F.coalesce("c", "id").alias("c"))
-    placed = snapshot(placed)
-    parts = placed.groupBy("v", "c").agg(F.count("*").alias("m"))
-    mixed = parts.groupBy("v").agg(F.max(F.struct("m", "c")).getField("c").alias("most"), F.count("*").alias("cs")).where("cs > 1").select("v", "most")
-    mixed = snapshot(mixed)
-    mixed = snapshot(placed.join(mixed, "v"))
-    outside = mixed.where("c <> most").select("v", F.col("id").alias("x"), F.col("c").alias("cx"))
-    # a list's leader has met everyone already; both ends outside: once
-    meet = outside.join(mixed.select("v", F.col("id").alias("y"), F.col("c").alias("cy"), "most"), "v").where("cx <> cy and (cy = most or x < y)")
+    # members of lists not yet in one component: now the rarest values of full sets decide, without a sample's slack
+    open_ids = _mixed(probes, comp).select("id").distinct()
+    full = snapshot(known.join(open_ids, "id").select("id", F.xxhash64("shingles").alias("tag"), F.size("shingles").alias("n"), F.col("shingles").alias("vals")))
+    lists = _mixed(_banded_probes(full, percent), comp)
+    x = lists.where("c <> most").select("v", *[F.col(a).alias(a + "x") for a in ("id", "c", "band")])
+    y = lists.select("v", "most", "same", *[F.col(a).alias(a + "y") for a in ("id", "c", "band")])
+    meet = x.join(y, "v").where("cx <> cy and (cy = most or idx < idy) and (same or bandx <> bandy)")
+    meet = meet.select(F.col("idx").alias("x"), F.col("idy").alias("y"))
     rest = meet.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
     more = _verified(rest, info, known, percent, k)
     every = components(links.select("a", "b").union(more.select("a", "b")))
@@ -132,14 +134,46 @@ def near_duplicate_classes(docs: DataFrame, percent: int = 85, size: int = SHING
     return out.select("d", "tk", "n", F.coalesce("c", "d").alias("c"))
 
 
-def _probes(classes: DataFrame, percent: int, k: int) -> DataFrame:
-    """v, id: postings of each class's rarest values, without values that one class alone has."""
-    postings = classes.select("id", "tk", "n", F.size("sketch").alias("kept"), F.explode("sketch").alias("v"))
+def _ranked(sets: DataFrame) -> DataFrame:
+    """sets (id, tag, n, vals) -> id, n, lone (values that one set alone has), vs (the others, rarest first)."""
+    postings = sets.select("id", "tag", F.explode("vals").alias("v"))
     common = snapshot(postings.groupBy("v").agg(F.count("*").alias("df")).where("df > 1"))
-    held = postings.join(common, "v").groupBy("id", "tk").agg(F.first("n").alias("n"), F.first("kept").alias("kept"), F.sort_array(F.collect_list(F.struct("df", "v"))).alias("vs"))
-    room = probe_size(F.col("n"), percent, k) - (F.col("kept") - F.size("vs"))
-    probes = held.where(room > 0).select("id", F.explode(F.slice("vs", F.lit(1), room)).alias("p")).select(F.col("p.v").alias("v"), "id")
-    return snapshot(probes.distinct())
+    held = postings.join(common, "v").groupBy("id", "tag").agg(F.sort_array(F.collect_list(F.struct("df", "v"))).alias("vs"))
+    held = held.join(sets.select("id", "tag", "n", F.size("vals").alias("kept")), ["id", "tag"])
+    return held.select("id", "n", (F.col("kept") - F.size("vs")).alias("lone"), F.transform("vs", lambda x: x["v"]).alias("vs"))
+
+
+def _probes(sets: DataFrame, room: Column) -> DataFrame:
+    """v, id: postings of each set's rarest values, as many as `room` of n tells."""
+    left = room - F.col("lone")
+    return snapshot(_ranked(sets).where(left > 0).select(F.explode(F.slice("vs", F.lit(1), left)).alias("v"), "id").distinct())
+
+
+def _banded_probes(sets: DataFrame, percent: int) -> DataFrame:
+    """v, id, band, same: exact postings, apart for each pair of size bands.
+
+    Sets of sizes a and b are linked only if they share p (a + b) / (100 + p) values; so of each set
+    all but that many, and one more, of its rarest values suffice, given the least size in the other's
+    band. Near sizes leave half of what is needed when the other's size is open. v is keyed by the bands.
+    """
+    step = math.log(1.03)
+    band = lambda n: F.floor(F.log(n.cast("double")) / step + 1e-9).cast("int")
+    least = lambda b: F.greatest(F.lit(1), F.ceil(F.exp(b * step) - 1e-6))
+    n = F.col("n")
+    own = _ranked(sets).select("*", band(n).alias("band"), F.explode(F.sequence(band(F.greatest(F.lit(1), F.floor(n * percent / 100))), band(F.ceil(n * 100 / percent)))).alias("other"))
+    need = F.ceil((n + least(F.col("other"))) * percent / (100 + percent) - 1e-9)
+    left = (n - need + 1 - F.col("lone")).cast("int")
+    own = own.where(left > 0).select("id", "band", "other", F.explode(F.slice("vs", F.lit(1), left)).alias("v"))
+    key = F.xxhash64("v", F.least("band", "other"), F.greatest("band", "other"))
+    return snapshot(own.select(key.alias("v"), "id", "band", (F.col("band") == F.col("other")).alias("same")).distinct())
+
+
+def _mixed(probes: DataFrame, comp: DataFrame) -> DataFrame:
+    """The probes with c and most: members of lists that lie in more than one component, with the list's largest component."""
+    placed = snapshot(probes.join(comp.select("id", "c"), "id", "left").select(*probes.columns, F.coalesce("c", "id").alias("c")))
+    parts = placed.groupBy("v", "c").agg(F.count("*").alias("m"))
+    most = parts.groupBy("v").agg(F.max(F.struct("m", "c")).getField("c").alias("most"), F.count("*").alias("cs")).where("cs > 1").select("v", "most")
+    return snapshot(placed.join(snapshot(most), "v"))
 
 
 def _texts(docs: DataFrame, wanted: DataFrame) -> DataFrame:
