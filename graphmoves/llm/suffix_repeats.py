@@ -31,7 +31,8 @@ from pyspark.sql import functions as F
 from graphmoves.llm.common import Rolling, blocks, doc_key, drop_snapshot, mix64, packed, real_id, snapshot, utf8
 
 MIN_BYTES = 400
-MOST = 2048
+#: Distinct segments that one task sorts together: at about 1 KB each, 16 MB.
+MOST = 16384
 _HASH = Rolling(seed=1)
 
 
@@ -252,10 +253,10 @@ def repeated_spans(docs: DataFrame, min_bytes: int = MIN_BYTES, most: int = MOST
     every = marks[0]
     for m in marks[1:]:
         every = every.union(m)
-    every = every.groupBy("h", "sh").agg(F.collect_set(F.struct("lo", "hi")).alias("marks"))  # ranges of one segment
+    every = snapshot(every.groupBy("h", "sh").agg(F.collect_set(F.struct("lo", "hi")).alias("marks")))  # ranges of one segment
     own = found.join(every, ["h", "sh"]).select("d", "tk", F.explode(F.transform("marks", lambda m: F.struct((F.col("a") + m["lo"]).alias("lo"), (F.col("a") + m["hi"]).alias("hi")))).alias("s"))
     spans = snapshot(own.groupBy("d", "tk").agg(F.collect_set("s").alias("spans")))  # ranges of one document
-    for old in [found, *olds, *[m for m in marks if hasattr(m, "_snapshot_path")]]:
+    for old in [found, every, *olds, *[m for m in marks if hasattr(m, "_snapshot_path")]]:
         drop_snapshot(old)
     return spans
 
