@@ -134,9 +134,12 @@ def pool(data: np.ndarray, off: np.ndarray, model: dict, classes: int) -> np.nda
 def fit(docs: DataFrame, sample: int = 4000, window: int = 96, hidden: int = 8, steps: int = 500) -> tuple[dict, list[str]]:
     """Train on a window from a hashed place in each of at most `sample` documents that aren't held out."""
     own = docs.select("doc_id", "text", "lang").where(f"not {HELD_OUT} and lang is not null and text rlike '\\\\p{{L}}'")
-    own = own.orderBy(F.xxhash64("doc_id", "text")).limit(sample)
+    # the sample's last hash first, so that texts of the sample only leave the executors
+    own = own.select("lang", "text", F.xxhash64("doc_id", "text").alias("h"))
+    last = own.select("h").orderBy("h").limit(sample).agg(F.max("h")).first()[0]
     place = F.pmod(F.xxhash64("text", F.lit(5)), F.greatest(F.lit(1), F.length("text") - window)) + 1
-    rows = own.select("lang", F.substring("text", place.cast("int"), F.lit(window)).alias("w")).collect()
+    rows = own.where(F.col("h") <= last).select("lang", "h", F.substring("text", place.cast("int"), F.lit(window)).alias("w")).limit(2 * sample).collect() if last is not None else []
+    rows.sort(key=lambda r: (r.h, r.w))
     langs = sorted({r.lang for r in rows})
     if not langs:
         return {}, []
