@@ -7,9 +7,10 @@ import math
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def cosine_pd(a: pd.Series, b: pd.Series) -> pd.Series:
     import numpy as np
 
@@ -17,14 +18,14 @@ def cosine_pd(a: pd.Series, b: pd.Series) -> pd.Series:
     return pd.Series((x * y).sum(1) / np.sqrt((x * x).sum(1) * (y * y).sum(1)))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def map_terms_agg(cut: pd.Series, vol: pd.Series, total: pd.Series) -> float:
     """The clusters' part of the map equation without the sum of cuts; a grouped aggregate."""
     p = lambda z: z * math.log(z) if z > 0 else 0.0
     return float(sum(p((c + v) / t) - 2 * p(c / t) for c, v, t in zip(cut, vol, total, strict=True)))
 
 
-@F.udtf(returnType="id long, c long")
+@F.udtf(returnType=T.StructType([T.StructField("id", T.LongType()), T.StructField("c", T.LongType())]))
 class ExpandMembers:
     """Members of a cluster as rows."""
 
