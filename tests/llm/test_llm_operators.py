@@ -375,17 +375,45 @@ def test_oracles(spark):
         assert sorted(map(tuple, got[cols].astype(str).values)) == sorted(map(tuple, want[cols].astype(str).values)), name
 
 
+def whole_characters(raw, hit):
+    """Runs of removed bytes shrunk until no character is cut in two; what is left, as text."""
+    hit, more = hit.copy(), lambda i: raw[i] & 0xC0 == 0x80
+    edges = np.flatnonzero(np.diff(np.concatenate([[0], hit.astype(np.int8), [0]])))
+    for lo, hi in edges.reshape(-1, 2).tolist():
+        while lo < hi and more(lo):
+            hit[lo], lo = False, lo + 1
+        while hi > lo and hi < len(raw) and more(hi):
+            hit[hi - 1], hi = False, hi - 1
+    return bytes(b for b, h in zip(raw, hit, strict=True) if not h).decode()
+
+
 def test_pipeline_stages(spark):
+    """Each stage against brute force over all that the one before kept."""
     import corpus_pipeline as cp
 
+    stages = dict(cp.STAGES)
+    assert list(stages) == ["language_id", "near_dedup", "suffix_dedup", "decontamination", "packing"]
     docs = read_table(spark, SF, "documents")
-    columns, n = docs.columns, [docs.count()]
+    columns, kept = docs.columns, [docs.count()]
+    rows = {}
     for name, stage in cp.STAGES[:-1]:
         docs = stage(spark, docs, SF).persist()
         assert docs.columns == columns, name
-        n.append(docs.count())
-    assert n[0] >= n[1] > n[2] == n[3] >= n[4] > 0
-    own = [r.text for r in docs.collect()]
-    raw = [t.encode() for t in own]
-    assert sum(h.sum() for h in brute_removed(raw, cp.PASSAGE_BYTES)) == 0 or len(raw) > 0
-    assert cp.run(spark, SF).selectExpr("count(distinct doc_id)").first()[0] == n[4]
+        before, rows = rows, {r.doc_id: r.text for r in docs.collect()}
+        kept.append(docs.count())
+        ids = sorted(before)
+        if name == "near_dedup":
+            assert set(rows) == {ids[i] for i, (_, c) in enumerate(brute_near([before[d] for d in ids], 80)) if c == i}
+            assert all(rows[d] == before[d] for d in rows)
+        elif name == "suffix_dedup":
+            raw = [before[d].encode() for d in ids]
+            hits = brute_removed(raw, cp.PASSAGE_BYTES)
+            assert rows == {d: whole_characters(t, h) for d, t, h in zip(ids, raw, hits, strict=True)} and any(h.any() for h in hits)
+        elif name == "decontamination":
+            words = lambda t: " ".join(__import__("re").findall(r"\w+", t.lower()))
+            items = [words(r.text) for r in read_table(spark, SF, "benchmark").collect()]
+            assert not any(x in words(t) for x in items for t in rows.values())
+            assert all(rows[d] == before[d] for d in rows)
+            assert set(before) - set(rows) == {r.doc_id for r in decontaminate.leaks(spark.createDataFrame(list(before.items()), "doc_id long, text string"), read_table(spark, SF, "benchmark")).collect() if r.leaked}
+    assert kept[0] >= kept[1] > kept[2] == kept[3] >= kept[4] > 0
+    assert cp.run(spark, SF).selectExpr("count(distinct doc_id)").first()[0] == kept[4]
