@@ -2,10 +2,11 @@
 
 Texts become templates: numbers (also written with marks), units after a number and capitalised words
 inside a sentence turn into typed placeholders, all else is lower-cased without outer marks. Windows of `window`
-template words are hash-joined with those of the benchmark. For a document and an item, the slot values
-of matching windows are compared: a slot value of the item must always meet the same value in the
-document (whichever it is), else the shared template is a coincidence. A document is contaminated if the
-consistent windows cover at least `share` of an item's windows.
+template words are hash-joined with those of the benchmark. Matching windows of a document and an item
+that lie equally far apart are one place, a copy of the item or of parts of it. In a place a slot value of
+the item must always meet the same value in the document (whichever it is), else the shared template is a
+coincidence. A document is contaminated if places that also agree with each other cover at least `share` of
+an item's windows.
 Where an item has fewer words than a window, its whole template is its only window, one of that many
 words. Edge cases: null, empty and wordless texts match nothing; null item ids form one item;
 repeated rows are judged alike.
@@ -126,13 +127,64 @@ def contaminations(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW,
         bench.unpersist()
     found = windows_of(docs.select(*doc_key(), F.coalesce("text", F.lit("")).alias("text")), ["d", "tk"], window, short, marked)
     theirs = bench.select("item", "it", "g", F.col("pos").alias("ipos"), F.col("n").alias("item_windows"), F.col("slots").alias("islots"))
-    hits = found.join(theirs, "g").groupBy("d", "tk", "item", "it", "ipos", "item_windows", "islots").agg(F.min(F.struct("pos", "slots")).alias("m"))
-    meets = F.arrays_zip(F.col("islots").alias("i"), F.col("m.slots").alias("v"))
-    per = hits.groupBy("d", "tk", "item", "it", "item_windows").agg(
-        F.count("*").alias("windows"), F.array_distinct(F.flatten(F.collect_list(meets))).alias("pairs"))  # at most the item's own slots
-    agree = F.size(F.array_distinct(F.transform("pairs", lambda p: p["i"]))) == F.size("pairs")
-    return per.select("d", "tk", F.when(F.col("item") != -1, F.col("item")).alias("item_id"), "windows", "item_windows", agree.alias("consistent"),
-                      (agree & (F.col("windows") >= F.greatest(F.lit(1.0), F.lit(share) * F.col("item_windows")))).alias("leaked"))
+    hit = F.struct((F.col("pos") - F.col("ipos")).alias("place"), "ipos", F.arrays_zip(F.col("islots").alias("i"), F.col("slots").alias("v")).alias("pairs"))
+    per = found.join(theirs, "g").groupBy("d", "tk", "item", "it", "item_windows").agg(F.collect_set(hit).alias("hits"))  # of one document and one item
+    return per.select("d", "tk", F.when(F.col("item") != -1, F.col("item")).alias("item_id"), "item_windows", "hits").mapInArrow(
+        _judge(share), "d long, tk long, item_id long, windows long, item_windows int, consistent boolean, leaked boolean")
+
+
+def _judge(share: float):
+    def run(batches):
+        for batch in batches:
+            n, hits = batch.column(3).to_pylist(), batch.column(4)
+            need = [max(1.0, share * x) for x in n]
+            got = [agreeing_windows(hits[i].as_py(), need[i]) for i in range(len(n))]
+            yield pa.RecordBatch.from_arrays([*batch.columns[:3], pa.array([w for w, _ in got], pa.int64()), batch.column(3), pa.array([c for _, c in got], pa.bool_()),
+                                              pa.array([c and w >= x for (w, c), x in zip(got, need, strict=True)], pa.bool_())], names=["d", "tk", "item_id", "windows", "item_windows", "consistent", "leaked"])
+
+    return run
+
+
+def agreeing_windows(hits: list[dict], need: float) -> tuple[int, bool]:
+    """How many of an item's windows places cover that agree in themselves and with each other, and if any place does.
+
+    The search goes on until `need` is reached or no set of places can reach it; without a place that
+    agrees, all windows are counted.
+    """
+    places: dict = {}
+    for x in hits:
+        windows, pairs = places.setdefault(x["place"], (set(), set()))
+        windows.add(x["ipos"])
+        pairs.update((p["i"], p["v"]) for p in x["pairs"])
+    sound = [(w, dict(p)) for w, p in places.values() if len(dict(p)) == len(p)]
+    if not sound:
+        return len(set().union(*(w for w, _ in places.values()))), False
+
+    def clashing(rest) -> set:
+        seen: dict = {}
+        return {i for _, v in rest for i in v if seen.setdefault(i, v[i]) != v[i]}
+
+    merged: dict = {}  # places that differ in no value others contradict
+    clash = clashing(sound)
+    for w, v in sound:
+        merged.setdefault(frozenset((i, x) for i, x in v.items() if i in clash), set()).update(w)
+    order = [(w, dict(v)) for v, w in sorted(merged.items(), key=lambda m: (-len(m[1]), sorted(m[0])))]
+    best = 0
+
+    def search(covered: set, rest: list) -> None:
+        nonlocal best
+        clash = clashing(rest)
+        covered = covered.union(*(w for w, v in rest if clash.isdisjoint(v)))
+        rest = [(w, v) for w, v in rest if not w <= covered]
+        if not rest:
+            best = max(best, len(covered))
+        for k, (w, v) in enumerate(rest):
+            if best and (best >= need or len(covered.union(*(x for x, _ in rest[k:]))) < need):
+                return
+            search(covered | w, [(x, y) for x, y in rest[k + 1 :] if all(v.get(i, c) == c for i, c in y.items())])
+
+    search(set(), order)
+    return best, True
 
 
 def decontaminated(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:

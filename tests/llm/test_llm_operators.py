@@ -328,6 +328,34 @@ def test_templates_catch_new_parameters(spark, texts):
     assert decontaminate.decontaminated(texts(ts), bench.where("false")).count() == len(ts)
 
 
+def test_a_copy_counts_whatever_else_shares_its_template(spark, texts):
+    item = "A train leaves the town at 7 km from here and Maria walks 7 km more than 12 minutes each day."
+    bench = spark.createDataFrame([(1, item)], "item_id long, text string")
+    sibling = item.replace("7", "9").replace("Maria", "Peter")
+    ts = ["First: a train leaves the town at 9 km from here, they say. " + item,  # part of it with another number
+          item + " Next one. " + sibling, sibling + " Next one. " + item,
+          item.replace("7", "9", 1) + " Or so. " + sibling,  # a coincidence and a copy
+          item.replace("7", "9", 1),
+          "A train leaves the town at 9 km from here, and so on and on. They and Bert walks 5 km more than 12 minutes each year."]  # 7 -> 9 and 7 -> 5
+    got = {r.doc_id: r for r in decontaminate.leaks(texts(ts), bench).collect()}
+    assert [i for i, r in sorted(got.items()) if r.leaked] == [0, 1, 2, 3] and [got[i].windows for i in range(4)] == [14] * 4
+    assert {r.doc_id for r in decontaminate.decontaminated(texts(ts), bench).collect()} == {4, 5}
+    assert got[5].consistent and got[5].windows == 4 and not got[4].consistent
+
+
+def test_agreeing_places_equal_brute_force():
+    from itertools import combinations
+
+    rng = random.Random(4)
+    for _ in range(300):
+        places = [({rng.randrange(12) for _ in range(rng.randrange(1, 4))}, {f"s{k}": f"v{rng.randrange(3)}" for k in rng.sample(range(4), rng.randrange(4))}) for _ in range(rng.randrange(1, 7))]
+        hits = [{"place": n, "ipos": w, "pairs": [{"i": i, "v": x} for i, x in v.items()]} for n, (ws, v) in enumerate(places) for w in ws]
+        sets = [c for n in range(1, len(places) + 1) for c in combinations(places, n) if len({p for _, v in c for p in v.items()}) == len({i for _, v in c for i in v})]
+        most = max(len(set().union(*(w for w, _ in c))) for c in sets)
+        assert decontaminate.agreeing_windows(hits, most) == (most, True) and decontaminate.agreeing_windows(hits, most + 1)[0] <= most
+    assert decontaminate.agreeing_windows([{"place": 0, "ipos": w, "pairs": [{"i": "7", "v": str(w)}]} for w in (1, 2)], 1) == (2, False)
+
+
 def test_leaks_on_table(spark):
     """Every document that holds an item's words in a row is found, and no other."""
     sf, words = "/root/testdata/sf0.01", lambda t: " ".join(__import__("re").findall(r"\w+", t.lower()))
