@@ -68,11 +68,12 @@ def templates(part: np.ndarray, o: np.ndarray):
 
 
 def windows_of(df: DataFrame, id_columns: list[str], window: int, sizes: list[int], marked: np.ndarray | None = None) -> DataFrame:
-    """Id columns, g (window hash), pos, n (windows of the text), slots array<string>; only hashes set in `marked`, if given.
+    """Id columns, g (window hash), pos, n (windows of the text), size (words of the window), slots array<string>.
 
-    sizes: word counts below `window` of which windows are made too (for short items).
+    sizes: word counts below `window` of which windows are made too. Without `marked` texts are benchmark
+    items, of which a window of such a size has to be the whole; else only hashes set in `marked` are made.
     """
-    schema = ", ".join(f"{c} long" for c in id_columns) + ", g long, pos int, n int, slots array<string>"
+    schema = ", ".join(f"{c} long" for c in id_columns) + ", g long, pos int, n int, size int, slots array<string>"
 
     def run(batches):
         for batch in batches:
@@ -90,7 +91,9 @@ def windows_of(df: DataFrame, id_columns: list[str], window: int, sizes: list[in
                         g += h[j : j + m] * _MULTIPLIERS[j]
                     g = mix64(g)
                     fits = np.searchsorted(first, np.arange(m), side="right") == np.searchsorted(first, np.arange(m) + size - 1, side="right")
-                    if marked is not None:
+                    if marked is None:
+                        fits &= (size == window) | (np.diff(first)[np.searchsorted(first, np.arange(m), side="right") - 1] == size)
+                    else:
                         fits &= marked[(g >> np.uint64(64 - BITS)).astype(np.int64)]
                     own = np.flatnonzero(fits)
                     got += [(int(p), int(g[p]), size) for p in own]
@@ -103,7 +106,7 @@ def windows_of(df: DataFrame, id_columns: list[str], window: int, sizes: list[in
                 slots = [[part[a[i] : b[i]].tobytes().decode("utf-8", "replace").lower() for i in range(q, q + size) if slot[i]] for q, _, size in got]
                 ids = [batch.column(c).slice(lo, hi - lo).take(pa.array(doc)) for c in range(len(id_columns))]
                 yield pa.RecordBatch.from_arrays([*ids, pa.array(np.array([x[1] for x in got], np.uint64).view(np.int64)), pa.array((p - first[doc]).astype(np.int32)),
-                                                  pa.array(n.astype(np.int32)), pa.array(slots, pa.list_(pa.string()))], names=[*id_columns, "g", "pos", "n", "slots"])
+                                                  pa.array(n.astype(np.int32)), pa.array([x[2] for x in got], pa.int32()), pa.array(slots, pa.list_(pa.string()))], names=[*id_columns, "g", "pos", "n", "size", "slots"])
 
     return df.mapInArrow(run, schema)
 
@@ -115,14 +118,13 @@ def contaminations(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW,
     the exact hash join.
     """
     items = benchmark.select(F.coalesce(F.col("item_id").cast("long"), F.lit(-1)).alias("item"), F.xxhash64("text").alias("it"), "text").dropDuplicates(["item", "it"])
-    count = F.size(F.regexp_extract_all("text", F.lit(r"([^\x20\x09-\x0D]*[\p{L}\p{N}][^\x20\x09-\x0D]*)"), 1))
-    short = [r[0] for r in items.select(count.alias("c")).where(f"c between 1 and {window - 1}").distinct().collect()]  # fewer than `window` numbers
-    bench = windows_of(items, ["item", "it"], window, short).where(f"n > 1 or pos = 0")
+    bench = windows_of(items, ["item", "it"], window, list(range(1, window)))
     bench = bench.persist()
     try:
         prefixes = bench.select(F.shiftrightunsigned("g", 64 - BITS).alias("b")).distinct().collect()  # at most 2 ** 22
         marked = np.zeros(1 << BITS, bool)
         marked[[r.b for r in prefixes]] = True
+        short = [r[0] for r in bench.select("size").where(f"size < {window}").distinct().collect()]  # fewer than `window` numbers
     finally:
         bench.unpersist()
     found = windows_of(docs.select(*doc_key(), F.coalesce("text", F.lit("")).alias("text")), ["d", "tk"], window, short, marked)

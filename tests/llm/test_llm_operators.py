@@ -356,6 +356,17 @@ def test_agreeing_places_equal_brute_force():
     assert decontaminate.agreeing_windows([{"place": 0, "ipos": w, "pairs": [{"i": "7", "v": str(w)}]} for w in (1, 2)], 1) == (2, False)
 
 
+def test_short_items_leave_windows_of_long_ones_alone(spark, texts):
+    long = "On some day Maria met Anna and Bert at 7 km from here while Peter sang for 12 minutes and Carl slept."
+    rows = [(1, long), (2, "Some day"), (3, "— one two"), (4, "exactly eight words are in this short item")]
+    bench = spark.createDataFrame(rows, "item_id long, text string")
+    ts = ["They sat at 5 km from here. The cat sang for 9 minutes and Dora slept. It was on some other day and at 3 km.",
+          long + " Then at 5 km and for 30 minutes Emil and Frida met Gina.", "it was some day", "so — one two", "exactly eight words are in this short item", "some"]
+    got = {(r.doc_id, r.item_id) for r in decontaminate.leaks(texts(ts), bench).where("leaked").collect()}
+    assert got == {(1, 1), (1, 2), (2, 2), (3, 3), (4, 4)}
+    assert {(r.item, r.size) for r in decontaminate.windows_of(bench.selectExpr("item_id as item", "0L as it", "text"), ["item", "it"], 8, list(range(1, 8))).collect()} == {(1, 8), (2, 2), (3, 3), (4, 8)}
+
+
 def test_leaks_on_table(spark):
     """Every document that holds an item's words in a row is found, and no other."""
     sf, words = "/root/testdata/sf0.01", lambda t: " ".join(__import__("re").findall(r"\w+", t.lower()))
