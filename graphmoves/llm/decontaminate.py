@@ -35,7 +35,7 @@ def _unit_hashes() -> np.ndarray:
 
 
 def templates(part: np.ndarray, o: np.ndarray):
-    """Hash of each template word, slot flags, starts, ends, and the first word of each document."""
+    """Hash of each template word, its hash without placeholder, slot flags, starts, ends, and the first word of each document."""
     start, end, first = words_of(part, o)
     letter = np.zeros(256, np.int8)
     letter[48:58], letter[65:91], letter[97:123], letter[128:] = 1, 2, 3, 3
@@ -46,7 +46,7 @@ def templates(part: np.ndarray, o: np.ndarray):
     first = np.concatenate([[0], np.cumsum(keep)])[first]
     start, end = start[keep], end[keep]
     if not len(start):
-        return np.empty(0, np.uint64), np.empty(0, bool), start, end, first
+        return np.empty(0, np.uint64), np.empty(0, np.uint64), np.empty(0, bool), start, end, first
     stop = np.isin(part[end - 1], [33, 46, 58, 63])  # a sentence ends behind this word
     a, b = solid_at[solid[start]], solid_at[solid[end] - 1] + 1  # without outer marks
     h = mix64(_HASH.ranges(_HASH.prefix(part), a, b))
@@ -62,51 +62,55 @@ def templates(part: np.ndarray, o: np.ndarray):
     name = (k[a] == 2) & ~opens & (small[b] > small[a])
     unit = np.isin(_HASH.ranges(_HASH.prefix(part), a, b), _unit_hashes())
     unit[1:] &= number[:-1]
-    unit[:1] = False
-    h = np.where(number, _NUMBER, np.where(name, _NAME, np.where(unit, _UNIT, h)))
-    return h, number | name | unit, a, b, first
+    unit[first[:-1][first[:-1] < len(a)]] = False
+    typed = np.where(number, _NUMBER, np.where(name, _NAME, np.where(unit, _UNIT, h)))
+    return typed, np.where(number, _NUMBER, h), number | name | unit, a, b, first
 
 
 def windows_of(df: DataFrame, id_columns: list[str], window: int, sizes: list[int], marked: np.ndarray | None = None) -> DataFrame:
-    """Id columns, g (window hash), pos, n (windows of the text), size (words of the window), slots array<string>.
+    """Id columns, g (window hash), pos, n (windows of the text), size (words of the window), opening, slots array<string>.
 
     sizes: word counts below `window` of which windows are made too. Without `marked` texts are benchmark
-    items, of which a window of such a size has to be the whole; else only hashes set in `marked` are made.
+    items, of which a window of such a size has to be the whole; else only hashes set in `marked` are made,
+    and where the first word is taken as a name or unit for what stands before it, also the window in which
+    it is neither, as it is at the head of an item (opening).
     """
-    schema = ", ".join(f"{c} long" for c in id_columns) + ", g long, pos int, n int, size int, slots array<string>"
+    schema = ", ".join(f"{c} long" for c in id_columns) + ", g long, pos int, n int, size int, opening boolean, slots array<string>"
 
     def run(batches):
         for batch in batches:
             data, off = utf8(batch.column(len(id_columns)))
             for lo, hi in blocks(off):
                 part, o = data[off[lo] : off[hi]], off[lo : hi + 1] - off[lo]
-                h, slot, a, b, first = templates(part, o)
+                h, plain, slot, a, b, first = templates(part, o)
                 got = []
                 for size in [window, *sizes]:
                     m = len(h) - size + 1
                     if m <= 0:
                         continue
-                    g = np.full(m, np.uint64(size))
-                    for j in range(size):
-                        g += h[j : j + m] * _MULTIPLIERS[j]
-                    g = mix64(g)
+                    rest = np.full(m, np.uint64(size))
+                    for j in range(1, size):
+                        rest += h[j : j + m] * _MULTIPLIERS[j]
                     fits = np.searchsorted(first, np.arange(m), side="right") == np.searchsorted(first, np.arange(m) + size - 1, side="right")
                     if marked is None:
                         fits &= (size == window) | (np.diff(first)[np.searchsorted(first, np.arange(m), side="right") - 1] == size)
-                    else:
-                        fits &= marked[(g >> np.uint64(64 - BITS)).astype(np.int64)]
-                    own = np.flatnonzero(fits)
-                    got += [(int(p), int(g[p]), size) for p in own]
+                    for opening in (False,) if marked is None else (False, True):
+                        head = (plain if opening else h)[:m]
+                        g = mix64(rest + head * _MULTIPLIERS[0])
+                        own = fits & (head != h[:m]) if opening else fits
+                        if marked is not None:
+                            own = own & marked[(g >> np.uint64(64 - BITS)).astype(np.int64)]
+                        got += [(int(p), int(g[p]), size, opening) for p in np.flatnonzero(own)]
                 if not got:
                     continue
                 p = np.array([x[0] for x in got])
                 doc = np.searchsorted(first, p, side="right") - 1
                 words = np.diff(first)
                 n = np.maximum(1, words - window + 1)[doc]
-                slots = [[part[a[i] : b[i]].tobytes().decode("utf-8", "replace").lower() for i in range(q, q + size) if slot[i]] for q, _, size in got]
+                slots = [[part[a[i] : b[i]].tobytes().decode("utf-8", "replace").lower() for i in range(q + opening, q + size) if slot[i]] for q, _, size, opening in got]
                 ids = [batch.column(c).slice(lo, hi - lo).take(pa.array(doc)) for c in range(len(id_columns))]
                 yield pa.RecordBatch.from_arrays([*ids, pa.array(np.array([x[1] for x in got], np.uint64).view(np.int64)), pa.array((p - first[doc]).astype(np.int32)),
-                                                  pa.array(n.astype(np.int32)), pa.array([x[2] for x in got], pa.int32()), pa.array(slots, pa.list_(pa.string()))], names=[*id_columns, "g", "pos", "n", "size", "slots"])
+                                                  pa.array(n.astype(np.int32)), pa.array([x[2] for x in got], pa.int32()), pa.array([x[3] for x in got], pa.bool_()), pa.array(slots, pa.list_(pa.string()))], names=[*id_columns, "g", "pos", "n", "size", "opening", "slots"])
 
     return df.mapInArrow(run, schema)
 
@@ -130,7 +134,7 @@ def contaminations(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW,
     found = windows_of(docs.select(*doc_key(), F.coalesce("text", F.lit("")).alias("text")), ["d", "tk"], window, short, marked)
     theirs = bench.select("item", "it", "g", F.col("pos").alias("ipos"), F.col("n").alias("item_windows"), F.col("slots").alias("islots"))
     hit = F.struct((F.col("pos") - F.col("ipos")).alias("place"), "ipos", F.arrays_zip(F.col("islots").alias("i"), F.col("slots").alias("v")).alias("pairs"))
-    per = found.join(theirs, "g").groupBy("d", "tk", "item", "it", "item_windows").agg(F.collect_set(hit).alias("hits"))  # of one document and one item
+    per = found.join(theirs, "g").where("ipos = 0 or not opening").groupBy("d", "tk", "item", "it", "item_windows").agg(F.collect_set(hit).alias("hits"))  # of one document and one item
     return per.select("d", "tk", F.when(F.col("item") != -1, F.col("item")).alias("item_id"), "item_windows", "hits").mapInArrow(
         _judge(share), "d long, tk long, item_id long, windows long, item_windows int, consistent boolean, leaked boolean")
 

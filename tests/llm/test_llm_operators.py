@@ -367,6 +367,15 @@ def test_short_items_leave_windows_of_long_ones_alone(spark, texts):
     assert {(r.item, r.size) for r in decontaminate.windows_of(bench.selectExpr("item_id as item", "0L as it", "text"), ["item", "it"], 8, list(range(1, 8))).collect()} == {(1, 8), (2, 2), (3, 3), (4, 8)}
 
 
+def test_first_word_of_an_item_in_running_text(spark, texts):
+    rows = [(1, "What is the capital of France?"), (2, "Hours of sleep are good"), (3, "Maria walks 7 km more than Anna walks"), (4, "Seven, then 8")]
+    bench = spark.createDataFrame(rows, "item_id long, text string").coalesce(1)
+    ts = ["Q) What is the capital of Spain, they ask", "so, What is the capital of France?", "\"Well.\" What is the capital of France?", "- What is the capital of France?",
+          "of 24 Hours of sleep are good", "(one) Maria walks 9 km more than Lena walks", "Q) Peter is the capital of Spain", "ends in 7", "Hours of sleep are good", "What is the capital of Italy"]
+    got = {(r.doc_id, r.item_id) for r in decontaminate.leaks(texts(ts).coalesce(1), bench).where("leaked").collect()}
+    assert got == {(0, 1), (1, 1), (2, 1), (3, 1), (4, 2), (5, 3), (8, 2), (9, 1)}
+
+
 def test_leaks_on_table(spark):
     """Every document that holds an item's words in a row is found, and no other."""
     sf, words = "/root/testdata/sf0.01", lambda t: " ".join(__import__("re").findall(r"\w+", t.lower()))
