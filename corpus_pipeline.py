@@ -7,8 +7,9 @@ from pyspark.sql import DataFrame, SparkSession
 from graphmoves.llm import decontaminate, langid, neardup, packing, suffix_repeats
 from graphmoves.llm.common import drop_snapshot, read_table, snapshot
 
-#: Passages of over 50 words: 51 short words with their spaces are hardly fewer bytes.
+#: Repeats of so many bytes, and passages of over 50 words even if their words are short (51 take 101 bytes at least).
 PASSAGE_BYTES = 256
+PASSAGE_WORDS = 51
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -23,7 +24,7 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def suffix_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Cuts passages out that occur more than once; a document that nothing is left of stays, with empty text."""
-    return suffix_repeats.without_repeats(docs, PASSAGE_BYTES)
+    return suffix_repeats.without_repeats(docs, PASSAGE_BYTES, words=PASSAGE_WORDS)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphmoves.llm.common import Rolling, blocks, doc_key, drop_snapshot, mix64, packed, real_id, snapshot, utf8
+from graphmoves.llm.common import Rolling, blocks, doc_key, drop_snapshot, mix64, packed, real_id, snapshot, utf8, words_of
 
 MIN_BYTES = 400
 #: Distinct segments that one task sorts together: at about 1 KB each, 16 MB.
@@ -261,6 +261,38 @@ def repeated_spans(docs: DataFrame, min_bytes: int = MIN_BYTES, most: int = MOST
     return spans
 
 
+def passage_spans(docs: DataFrame, words: int, under: int) -> DataFrame:
+    """d, tk, spans array<struct<lo, hi>>: stretches of `words` whole words, shorter than `under` bytes, that occur more than once.
+
+    Occurrences that overlap in one text, as in a run of one word, count once here.
+    """
+    def run(batches):
+        for b in batches:
+            data, off = utf8(b.column(2))
+            for i, j in blocks(off):
+                part, o = data[off[i] : off[j]], off[i : j + 1] - off[i]
+                start, end, first = words_of(part, o)
+                m = len(start) - words + 1
+                if m <= 0:
+                    continue
+                lo, hi = start[:m], end[words - 1 :]
+                doc = np.searchsorted(first, np.arange(m), side="right") - 1
+                own = np.flatnonzero((hi - lo < under) & (np.arange(m) + words <= first[doc + 1]))
+                h = [xxhash.xxh3_128_digest(part[x:y].tobytes()) for x, y in zip(lo[own], hi[own], strict=True)]
+                doc, lo, hi = doc[own], lo[own], hi[own]
+                yield pa.RecordBatch.from_arrays([*(b.column(c).slice(i, j - i).take(pa.array(doc)) for c in (0, 1)), pa.array(h, pa.binary()), pa.array((lo - o[doc]).astype(np.int32)), pa.array((hi - o[doc]).astype(np.int32))],
+                                                 names=["d", "tk", "h", "lo", "hi"])
+
+    found = snapshot(docs.select(*doc_key(), F.coalesce("text", F.lit("")).alias("text")).mapInArrow(run, "d long, tk long, h binary, lo int, hi int"))
+    own = found.groupBy("h", "d", "tk").agg(F.count("*").alias("n"), F.size(F.collect_set("lo")).alias("places"), F.max("lo").alias("last"), F.min("hi").alias("over"))
+    apart = F.max((F.col("n") > F.col("places")) | (F.col("last") >= F.col("over")))  # rows repeated, or twice in one text
+    twice = snapshot(own.groupBy("h").agg(F.count("*").alias("texts"), apart.alias("apart")).where("texts > 1 or apart").select("h"))
+    spans = snapshot(found.join(twice, "h").groupBy("d", "tk").agg(F.collect_set(F.struct("lo", "hi")).alias("spans")))  # ranges of one document
+    for old in (found, twice):
+        drop_snapshot(old)
+    return spans
+
+
 def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     out: list[tuple[int, int]] = []
     for lo, hi in sorted(spans):
@@ -303,8 +335,11 @@ def repeat_digest(docs: DataFrame, min_bytes: int = MIN_BYTES, most: int = MOST)
     return rows.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
-def without_repeats(docs: DataFrame, min_bytes: int = MIN_BYTES, most: int = MOST) -> DataFrame:
-    """All columns, with repeated bytes cut out of `text` (spans shrink to whole characters); n_chars follows, null text stays null."""
+def without_repeats(docs: DataFrame, min_bytes: int = MIN_BYTES, most: int = MOST, words: int | None = None) -> DataFrame:
+    """All columns, with repeated bytes cut out of `text` (spans shrink to whole characters); n_chars follows, null text stays null.
+
+    words: repeated stretches of that many words go too where they take less than `min_bytes`.
+    """
     def run(batches):
         for b in batches:
             data, off = utf8(b.column(1))
@@ -324,7 +359,12 @@ def without_repeats(docs: DataFrame, min_bytes: int = MIN_BYTES, most: int = MOS
                 out.append(_kept(raw.tobytes(), cut).decode("utf-8", "replace"))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(out, pa.string())], names=["doc", "kept"])
 
-    rows = _with_spans(docs, repeated_spans(docs.select("doc_id", "text"), min_bytes, most))
+    own = docs.select("doc_id", "text")
+    spans = repeated_spans(own, min_bytes, most)
+    if words:
+        both = spans.union(passage_spans(own, words, min_bytes).select("d", "tk", F.col("spans").cast(spans.schema["spans"].dataType)))
+        spans = both.groupBy("d", "tk").agg(F.flatten(F.collect_list("spans")).alias("spans"))
+    rows = _with_spans(docs, spans)
     done = rows.mapInArrow(run, f"doc {rows.schema['doc'].dataType.simpleString()}, kept string")
     kept = {"text": F.col("kept"), "n_chars": F.length("kept").cast("long")}
     return done.select(*[kept.get(c, F.col("doc").getField(c)).alias(c) for c in docs.columns])

@@ -85,6 +85,19 @@ def test_cutting_keeps_whole_characters_and_columns(spark, docs):
     assert sorted((r.doc_id or 0, r.text, r.d) for r in out.collect() if r.text is not None) == [(0, "q", 7), (1, "", 7), (1, "", 7), (2, "çd", 7)]
 
 
+def test_pipeline_cuts_passages_of_short_words(spark, texts):
+    import corpus_pipeline as cp
+
+    rng = random.Random(8)
+    short = lambda n: " ".join("".join(rng.choice("abcdefgh") for _ in range(rng.randrange(1, 4))) for _ in range(n))
+    p, q, long, one = short(51), short(50), short(110), " ".join("x" * 60)
+    assert len(p) < cp.PASSAGE_BYTES < len(long)
+    ts = [f"Begin {p} end", f"{p}\nother", f"Here {q} stays", f"{q}\nagain", f"An {long} in", f"The {long} out", f"k {one} k", None, "é " + p.upper(), ""]
+    got = {r.doc_id: r.text for r in dict(cp.STAGES)["suffix_dedup"](spark, texts(ts), SF).collect()}
+    assert [got[i] for i in (0, 1, 2, 3, 7, 8, 9)] == ["Begin  end", "\nother", ts[2], ts[3], None, ts[8], ""]
+    assert not any(long[i : i + 20] in got[d] for d in (4, 5) for i in range(len(long) - 20)) and got[6] == ts[6]
+
+
 # --- chats -----------------------------------------------------------------------------------------
 
 
