@@ -46,6 +46,7 @@ def graph(name: str):
 trade, planted = graph("trade"), graph("planted")
 for _g, _f in graphs.GRAPHS.items():
     QUERIES[f"graph_{_g}"], ORACLE_SQL[f"graph_{_g}"] = _f, f"SELECT a, b, w FROM ({O.GRAPH_SQL[_g]})"
+QUERIES["graph_neardup"] = lambda s, d: graphs.neardup(s, d, df_limit=30)  # as its SQL
 for _mu in (0.2, 0.6):
     _key = f"graph_planted_mu{round(_mu * 10)}"
     QUERIES[_key], ORACLE_SQL[_key] = (lambda s, d, mu=_mu: graphs.planted(s, d, mu)), O.planted_sql(_mu)

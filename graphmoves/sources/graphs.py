@@ -81,14 +81,25 @@ def links(spark: SparkSession, d: str) -> DataFrame:
     return href.select((2 * F.col("page_id")).alias("a"), (2 * portable(F.col("t")) + 1).alias("b"), F.lit(1).cast("long").alias("w")).distinct()
 
 
-def neardup(spark: SparkSession, d: str, least: int = 5, df_limit: int = 30) -> DataFrame:
-    """Documents that share at least `least` five-word shingles, of those in at most `df_limit` documents."""
+def neardup(spark: SparkSession, d: str, least: int = 5, df_limit: int | None = None) -> DataFrame:
+    """Documents that share at least `least` five-word shingles; with `df_limit` only of those in at most that many documents.
+
+    Documents of equal shingles form a class; classes are compared, and their links dealt to their members.
+    """
     words = F.filter(F.split("text", r"\s+"), lambda w: w != "")
     w = table(spark, d, "documents").select("doc_id", words.alias("ws"))
     sh = w.where("size(ws) >= 5").select("doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.size("ws") - 4), lambda i: F.xxhash64(F.array_join(F.slice("ws", i, 5), " "))))).alias("g"))
-    docs = sh.groupBy("g").agg(F.count("*").alias("n")).where(f"n between 2 and {df_limit}")
-    few = sh.join(docs, "g").groupBy("g").agg(F.sort_array(F.collect_list("doc_id")).alias("ds"))  # at most df_limit ids
-    return few.select(F.explode("ds").alias("a"), "ds").select("a", F.explode("ds").alias("b")).where("a < b").groupBy("a", "b").agg(F.count("*").alias("w")).where(f"w >= {least}")
+    if df_limit:
+        sh = sh.join(sh.groupBy("g").agg(F.count("*").alias("n")).where(f"n <= {df_limit}").select("g"), "g")
+    sets = sh.groupBy("doc_id").agg(F.sort_array(F.collect_list("g")).alias("gs"))
+    classes = snapshot(sets.groupBy("gs").agg(F.min("doc_id").alias("k")))
+    member = snapshot(sets.join(classes, "gs").select("doc_id", "k", F.size("gs").cast("long").alias("w")))
+    own = classes.select("k", F.explode("gs").alias("g"))
+    across = own.join(own.withColumnRenamed("k", "l"), "g").where("k < l").groupBy("k", "l").agg(F.count("*").alias("w")).where(f"w >= {least}")
+    x, y = member.select("k", F.col("doc_id").alias("x")), member.select(F.col("k").alias("l"), F.col("doc_id").alias("y"))
+    within = member.where(f"w >= {least}").select("k", "w", F.col("doc_id").alias("x")).join(x.withColumnRenamed("x", "y"), "k").where("x < y")
+    links = across.join(x, "k").join(y, "l").select("x", "y", "w").union(within.select("x", "y", "w"))
+    return links.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"), "w")
 
 
 def knn(spark: SparkSession, d: str, k: int = 5, block: int = 512) -> DataFrame:

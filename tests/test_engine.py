@@ -220,3 +220,17 @@ def test_entry(spark):
     import __spark_entry__ as e
 
     assert e.entry(spark).count() > 0 and set(e.oracle_sql()) <= set(e.queries())
+
+
+def test_neardup_links_groups_of_any_size(spark, tmp_path):
+    from collections import Counter
+    from itertools import combinations
+
+    from graphmoves.sources import graphs
+
+    group = " ".join(f"w{i}" for i in range(12))
+    ts = [group] * 35 + [group + " more", "x " + group + " y z", "a b c d e", "a b c d e", "one two", " ".join(f"v{i}" for i in range(12))]
+    spark.createDataFrame(list(enumerate(ts)), "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    sets = [{tuple(t.split()[i : i + 5]) for i in range(len(t.split()) - 4)} for t in ts]
+    want = Counter({(a, b): len(sets[a] & sets[b]) for a, b in combinations(range(len(ts)), 2) if len(sets[a] & sets[b]) >= 5})
+    assert {(r.a, r.b): r.w for r in graphs.neardup(spark, str(tmp_path)).collect()} == want and len(want) == 37 * 36 // 2
