@@ -22,11 +22,13 @@ def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_folder(spark: SparkSession) -> str:
     """The folder that driver and executors share: the session's checkpoint folder.
 
-    Only a session that names none (tests on one machine) gets a temporary one.
+    Only a session on one machine (tests) that names none gets a temporary one; a cluster has to name it.
     """
     jsc = spark.sparkContext._jsc.sc()
     if jsc.getCheckpointDir().isEmpty():
         named = spark.conf.get("spark.checkpoint.dir", None)
+        if named is None and not jsc.isLocal():
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         spark.sparkContext.setCheckpointDir(named or tempfile.mkdtemp(prefix="graphmoves-"))
     return jsc.getCheckpointDir().get()
 
@@ -85,8 +87,8 @@ def utf8(arr: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw[off[0] : off[-1]], off - off[0]
 
 
-def blocks(offsets: np.ndarray, limit: int = 1 << 20):
-    """Ranges of rows whose bytes stay near `limit`; a longer row stands alone."""
+def blocks(offsets: np.ndarray, limit: int = 1 << 18):
+    """Ranges of rows whose bytes stay near `limit` (some tens of bytes of arrays go with each byte); a longer row stands alone."""
     lo, n = 0, len(offsets) - 1
     while lo < n:
         hi = max(lo + 1, int(np.searchsorted(offsets, offsets[lo] + limit, side="right")) - 1)

@@ -15,7 +15,8 @@ by longer and longer common cores until each bucket is small or its core is the
 then a repeat by itself. So no task sorts an unbounded group, and no occurrence is left out.
 
 Edge cases: null text is empty; matches stay inside documents; rows equal in id and text are two
-occurrences of all they hold; overlapping occurrences count; an empty table gives no rows.
+occurrences of all they hold; overlapping occurrences count; an empty table gives no rows; very long texts
+yield as many segments as they have anchors, none longer than two windows.
 """
 
 from __future__ import annotations
@@ -31,8 +32,8 @@ from pyspark.sql import functions as F
 from graphmoves.llm.common import Rolling, blocks, doc_key, drop_snapshot, mix64, packed, real_id, snapshot, utf8, words_of
 
 MIN_BYTES = 400
-#: Distinct segments that one task sorts together: at about 1 KB each, 16 MB.
-MOST = 16384
+#: Distinct segments of one bucket that one task sorts together: at most 1 KB each, 1 MB. Larger buckets are refined.
+MOST = 1024
 _HASH = Rolling(seed=1)
 
 
@@ -151,7 +152,7 @@ def _marks(texts: list[bytes], anchors: list[int], length: int) -> tuple[np.ndar
     return np.where(left >= 0, p - left, -1), np.where(left >= 0, p + right, -1)
 
 
-def _tree_marks(pieces: DataFrame, length: int, at_once: int = 4096) -> DataFrame:
+def _tree_marks(pieces: DataFrame, length: int, at_once: int = 2048) -> DataFrame:
     """Sort and scan bucket after bucket; pieces (g, h, sh, cut, anchor, body) -> (h, sh, lo, hi) from the segment's start.
 
     Buckets of one task are taken together up to `at_once` suffixes: their k-grams keep them apart in the array.
@@ -319,20 +320,23 @@ def _with_spans(docs: DataFrame, spans: DataFrame) -> DataFrame:
 
 
 def repeat_digest(docs: DataFrame, min_bytes: int = MIN_BYTES, most: int = MOST) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256."""
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256, text (what is left; a character cut in two shows as U+FFFD)."""
+    names, kinds = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "text"], [pa.int64()] * 3 + [pa.string()] * 2
+
     def run(batches):
         for b in batches:
             data, off = utf8(b.column(1))
-            rows = []
-            for i, (lo, hi) in enumerate(zip(b.column(2).to_pylist(), b.column(3).to_pylist(), strict=True)):
-                text, cut = data[off[i] : off[i + 1]].tobytes(), merged(list(zip(lo or [], hi or [], strict=True)))
-                rows.append((len(text), sum(y - x for x, y in cut), len(cut), hashlib.sha256(_kept(text, cut)).hexdigest()))
-            cols = list(zip(*rows, strict=True)) or [[]] * 4
-            yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(c, t) for c, t in zip(cols, [pa.int64()] * 3 + [pa.string()], strict=True))], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
+            for first, end in blocks(off):
+                rows = []
+                for i, lo, hi in zip(range(first, end), b.column(2).slice(first, end - first).to_pylist(), b.column(3).slice(first, end - first).to_pylist(), strict=True):
+                    text, cut = data[off[i] : off[i + 1]].tobytes(), merged(list(zip(lo or [], hi or [], strict=True)))
+                    kept = _kept(text, cut)
+                    rows.append((len(text), sum(y - x for x, y in cut), len(cut), hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "replace")))
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(first, end - first), *(pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True))], names=names)
 
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     rows = _with_spans(own, repeated_spans(own, min_bytes, most)).select(F.col("doc.doc_id").alias("doc_id"), "text", "lo", "hi")
-    return rows.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    return rows.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, text string")
 
 
 def without_repeats(docs: DataFrame, min_bytes: int = MIN_BYTES, most: int = MOST, words: int | None = None) -> DataFrame:
