@@ -1,12 +1,17 @@
 """Toxicity: a support vector machine on a gap-weighted subsequence string kernel with Nystroem landmarks.
 
-K(s, t) sums, over subsequences of three characters common to s and t, decay ** (spans in s and t), so
-inserted characters lessen a match but don't break it. A text's feature for a landmark is the largest
-squared K(word, landmark) / K(landmark, landmark) over all its words; the Nystroem map K_mm ** -1/2 follows, then
-a linear machine and Platt's calibration. Landmarks are stems of words that mark toxic training texts,
-found on at most `sample` labelled documents of each class. Runs of single characters ("x y z") are read
+k(s, t) sums, over subsequences of three characters common to s and t, decay ** (spans in s and t), so
+inserted characters lessen a match but don't break it. The one kernel used throughout is its normalised form
+to the power POWER, (k(s, t) / sqrt(k(s, s) k(t, t))) ** POWER, a product of kernels. A word's features are its Nystroem map
+K_mm ** -1/2 K(word, landmarks). Landmarks are whole words of labelled texts, taken one by one: the word whose
+association with the label (one-sided z score over texts) times its distance from the span of those taken is largest.
+A labelled text is a bag of words: of texts with label 1 the machine is trained on the words of positive margin (or the
+largest there is), of others on the three of largest margin, all found anew in every pass. A text's score is a logistic function of its largest margin, of the sum of its positive ones and of their density.
+Training takes at most `sample` labelled texts of each class. Runs of single characters ("x y z") are read
 as one word; words longer than `longest` characters as overlapping stretches of that length.
-Edge cases: null and empty texts score as texts without words; equal texts get equal scores.
+Edge cases: null and empty texts score as texts without words; equal texts get equal scores; without labels of both classes,
+or without any word that marks one, every score is 0.5; an empty table gives no rows; very long texts are scored word by
+word, so memory goes with their distinct words.
 """
 
 from __future__ import annotations
@@ -19,11 +24,14 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphmoves.llm.common import utf8
+from graphmoves.llm.common import blocks, utf8
 from graphmoves.llm.quality import training_sample
 
 HELD_OUT = "coalesce(crc32(cast(doc_id as string)) % 4 = 2, false)"
 DECAY = 0.5
+POWER = 2
+#: The margin of a text without words, and the least one that counts.
+NO_WORD = -1.0
 _MARKS = regex.compile(r"[\W_]+")
 _OUTER = regex.compile(r"^[\W_]+|[\W_]+$")
 _RUNS = regex.compile(r"(?<!\S)\S(?:\s\S){2,}(?!\S)")
@@ -50,138 +58,178 @@ class Kernel:
     """Subsequence kernel of order 3 between many words and a fixed set of landmarks."""
 
     def __init__(self, landmarks: list[str], decay: float = DECAY):
-        self.m, self.width, self.decay = len(landmarks), max(map(len, landmarks)), np.float32(decay)
+        self.landmarks, self.m, self.width, self.decay = landmarks, len(landmarks), max(map(len, landmarks)), np.float32(decay)
         chars = sorted({c for x in landmarks for c in x})
         self.code = {c: i + 1 for i, c in enumerate(chars)}
         self.equal = np.zeros((len(chars) + 1, self.m, self.width), np.float32)
         for i, x in enumerate(landmarks):
             for j, c in enumerate(x):
                 self.equal[self.code[c], i, j] = 1
-        gap = np.arange(self.width)[None] - np.arange(self.width)[:, None]
-        # a match at j reaches a later j' with decay for each step between
-        self.reach = np.where(gap > 0, decay ** (gap + 1.0), 0).astype(np.float32)
-        self.first = (self.equal.reshape(-1, self.width) @ self.reach).reshape(self.equal.shape)
-        self.own = np.maximum(1e-9, np.array([self.raw([x])[0, i] for i, x in enumerate(landmarks)], np.float32))
+        self.own = self_kernel(landmarks, decay)
 
     def raw(self, texts: list[str]) -> np.ndarray:
         out = np.zeros((len(texts), self.m), np.float32)
+        reach = _reach(self.width, self.decay)
+        first = (self.equal.reshape(-1, self.width) @ reach).reshape(self.equal.shape)
         by_size = sorted(range(len(texts)), key=lambda i: len(texts[i]))
         for lo in range(0, len(by_size), 512):
             pick = by_size[lo : lo + 512]
-            size = len(texts[pick[-1]])
-            x = np.zeros((size, len(pick)), np.int64)
+            x = np.zeros((len(texts[pick[-1]]), len(pick)), np.int64)
             for k, i in enumerate(pick):
                 x[: len(texts[i]), k] = [self.code.get(c, 0) for c in texts[i]]
-            shape = (len(pick), self.m, self.width)
-            one, two, total = np.zeros(shape, np.float32), np.zeros(shape, np.float32), out[pick]
-            for row in x:
-                hit = self.equal[row]
-                total += self.decay**2 * np.einsum("nmj,nmj->nm", hit, two)
-                two *= self.decay
-                two += ((hit * one).reshape(-1, self.width) @ self.reach).reshape(shape)
-                one *= self.decay
-                one += self.first[row]
-            out[pick] = total
+            out[pick] = _scan(((self.equal[row], first[row]) for row in x), (len(pick), self.m, self.width), reach, self.decay)
         return out
 
-    def contained(self, texts: list[str]) -> np.ndarray:
-        """(K(word, landmark) / K(landmark, landmark)) ** 2, at most 1.5: a product of kernels, which sets whole matches apart."""
-        return np.minimum((self.raw(texts) / self.own) ** 2, 1.5)
-
-
-def choose_landmarks(rows: list[tuple[int, set[str]]], count: int = 20, least: int = 4, most: int = 9, plain: int = 2) -> list[str]:
-    """Stems (substrings) that many toxic and few other texts hold; with `plain`, also frequent words of the others."""
+    def __call__(self, texts: list[str]) -> np.ndarray:
+        """Normalised kernel to the power POWER between texts and landmarks."""
+        norm = np.sqrt(self_kernel(texts, float(self.decay))[:, None] * self.own)
+        return np.minimum(self.raw(texts) / norm, 1) ** POWER
+
+
+def _reach(width: int, decay: float) -> np.ndarray:
+    """A match at j reaches a later j' with decay for each step between."""
+    gap = np.arange(width)[None] - np.arange(width)[:, None]
+    return np.where(gap > 0, float(decay) ** (gap + 1.0), 0).astype(np.float32)
+
+
+def _scan(rows, shape: tuple, reach: np.ndarray, decay) -> np.ndarray:
+    """Kernel of order 3 by a scan over characters; rows yield which places of the other text match, and what the first match reaches."""
+    one, two, total = np.zeros(shape, np.float32), np.zeros(shape, np.float32), np.zeros(shape[:-1], np.float32)
+    for hit, first in rows:
+        total += np.float32(decay) ** 2 * np.einsum("...j,...j->...", hit, two)
+        two *= np.float32(decay)
+        two += ((hit * one).reshape(-1, shape[-1]) @ reach).reshape(shape)
+        one *= np.float32(decay)
+        one += first
+    return total
+
+
+def self_kernel(texts: list[str], decay: float = DECAY) -> np.ndarray:
+    """k(s, s) of each text, never 0."""
+    out = np.zeros(len(texts), np.float32)
+    by_size = sorted(range(len(texts)), key=lambda i: len(texts[i]))
+    for lo in range(0, len(by_size), 4096):
+        pick = by_size[lo : lo + 4096]
+        size = len(texts[pick[-1]])
+        x = np.zeros((len(pick), size), np.int64)
+        for k, i in enumerate(pick):
+            x[k, : len(texts[i])] = [ord(c) for c in texts[i]]
+        reach = _reach(size, decay)
+        hits = ((h := ((x == x[:, j : j + 1]) & (x > 0)).astype(np.float32), h @ reach) for j in range(size))
+        out[pick] = _scan(hits, x.shape, reach, decay)
+    return np.maximum(out, 1e-9)
+
+
+def choose_landmarks(rows: list[tuple[int, set[str]]], count: int = 24, among: int = 600, least: float = 5.0) -> list[str]:
+    """Words that mark label 1, each far from the span of those taken before in the kernel's feature space."""
     toxic, other = Counter(), Counter()
     for y, ws in rows:
-        (toxic if y else other).update(ws)
-    stems = lambda w: {w[i : i + k] for k in range(least, most + 1) for i in range(len(w) - k + 1)}
-    bad, good = Counter(), Counter()
-    for w, n in toxic.items():
-        for s in stems(w):
-            bad[s] += n
+        (toxic if y else other).update(w for w in ws if len(w) > 3)
     n1, n0 = max(1, sum(y for y, _ in rows)), max(1, sum(1 - y for y, _ in rows))
-    enough = max(5, n1 * 0.05)
-    hopeful = {s for s, n in bad.items() if n >= enough}
-    for w, n in other.items():
-        for s in stems(w) & hopeful:
-            good[s] += n
-
-    def worth(s: str) -> float:
-        a, b = bad[s] / n1, (good[s] + 0.5) / n0
-        return a * len(s) ** 0.7 * np.log(a / b) if bad[s] >= enough and a > 10 * b else 0.0
-
-    picked: list[str] = []
-    while len(picked) < count:
-        best = max(hopeful, key=lambda s: (worth(s), s), default="")
-        if not best or not worth(best):
-            break
-        picked.append(best)
-        for w in [w for w in toxic if best in w]:  # explained by this stem
-            n = toxic.pop(w)
-            for s in stems(w):
-                bad[s] -= n
-        hopeful = {s for s in hopeful if bad[s] >= enough}
-    return picked + [w for w, _ in sorted(other.items(), key=lambda x: (-x[1], x[0])) if 5 <= len(w) <= 9 and w not in picked][:plain]
-
 
-def _logistic(x: np.ndarray, y: np.ndarray, weight: np.ndarray) -> tuple[float, float]:
-    a, b = 1.0, 0.0
+    def z(w: str) -> float:
+        p = (toxic[w] + other[w]) / (n1 + n0)
+        return (toxic[w] / n1 - other[w] / n0) / np.sqrt(p * (1 - p) * (1 / n1 + 1 / n0) + 1e-12)
+
+    worth = sorted(((z(w), w) for w, n in toxic.items() if n >= 3), reverse=True)[:among]
+    words_ = [w for v, w in worth if v >= least]
+    if not words_:
+        return []
+    weight = np.array([v for v, _ in worth[: len(words_)]])
+    rest, found, picked = np.ones(len(words_)), np.zeros((len(words_), 0)), []
+    while len(picked) < min(count, len(words_)):  # pivoted Cholesky factor of the candidates' kernel matrix
+        i = int(np.argmax(weight * rest))
+        if rest[i] < 0.05:
+            break
+        picked.append(words_[i])
+        column = Kernel([words_[i]])(words_)[:, 0]
+        new = (column - found @ found[i]) / np.sqrt(rest[i])
+        found = np.column_stack([found, new])
+        rest = np.maximum(0, rest - new * new)
+    return picked
+
+
+def _logistic(x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """Weights and bias of a slightly regularised logistic regression, by Newton's method."""
+    x = np.column_stack([x, np.ones(len(x))])
+    w = np.zeros(x.shape[1])
     for _ in range(50):
-        p = 1 / (1 + np.exp(-np.clip(a * x + b, -30, 30)))
-        g = np.array([(weight * (p - y) * x).sum() + 1e-3 * a, (weight * (p - y)).sum()])
-        d = weight * p * (1 - p) + 1e-9
-        step = np.linalg.solve(np.array([[(d * x * x).sum() + 1e-3, (d * x).sum()], [(d * x).sum(), d.sum()]]), g)
-        a, b = a - step[0], b - step[1]
-    return float(a), float(b)
+        p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
+        d = p * (1 - p) + 1e-9
+        w -= np.linalg.solve((x * d[:, None]).T @ x + 1e-2 * np.eye(len(w)), x.T @ (p - y) + 1e-2 * w)
+    return w
 
 
-def train(rows: list[tuple[int, set[str]]], rounds: int = 1500) -> dict | None:
-    marks = choose_landmarks(rows)
-    if not marks or len({y for y, _ in rows}) < 2:
+def _machine(x: np.ndarray, y: np.ndarray, share: np.ndarray, start: np.ndarray, rounds: int) -> np.ndarray:
+    """Weights and bias of a linear machine with squared hinge loss, classes weighing the same; full batches. share: a row's weight in its class."""
+    x = np.column_stack([x, np.ones(len(x))])
+    sign = 2.0 * y - 1
+    weight = np.where(y == 1, 0.5 / max(1e-9, share[y == 1].sum()), 0.5 / max(1e-9, share[y == 0].sum())) * share
+    w, m, v = start.copy(), np.zeros(x.shape[1]), np.zeros(x.shape[1])
+    for t in range(1, rounds + 1):
+        g = x.T @ (-2 * weight * np.maximum(0, 1 - sign * (x @ w)) * sign) + 2e-4 * np.append(w[:-1], 0)
+        m, v = 0.9 * m + 0.1 * g, 0.99 * v + 0.01 * g * g
+        w -= 0.1 * (1 - 0.9 * t / rounds) * (m / (1 - 0.9**t)) / (np.sqrt(v / (1 - 0.99**t)) + 1e-9)
+    return w
+
+
+def pooled(margins: np.ndarray) -> tuple[float, float, float]:
+    """What of a text's words counts: the largest margin, the logarithm of the sum of positive ones, and of that sum's density."""
+    if not len(margins):
+        return NO_WORD, 0.0, 0.0
+    total = np.sort(margins[margins > 0]).sum()
+    return float(max(margins.max(), NO_WORD)), float(np.log1p(total)), float(np.log1p(20 * total / (len(margins) + 5)))
+
+
+def train(rows: list[tuple[int, set[str]]], passes: int = 6, rounds: int = 300) -> dict | None:
+    """landmarks; weights and bias of a word's margin on its kernel values; link, the logistic function of what `pooled` gives."""
+    marks = choose_landmarks(rows) if len({y for y, _ in rows}) == 2 else []
+    if not marks:
         return None
     kernel = Kernel(marks)
-    mm = (kernel.raw(marks) / np.sqrt(kernel.own[:, None] * kernel.own)) ** 2
+    mm = kernel(marks)
     val, vec = np.linalg.eigh((mm + mm.T) / 2)
-    root = vec @ np.diag(1 / np.sqrt(np.maximum(val, 1e-2))) @ vec.T
-    scorer = Scorer(kernel)
-    x = np.array([scorer.document(ws) for _, ws in rows]) @ root
+    root = vec @ np.diag(1 / np.sqrt(np.maximum(val, 1e-3))) @ vec.T
+    vocabulary = sorted(set().union(*(ws for _, ws in rows)))
+    at = {w: i for i, w in enumerate(vocabulary)}
+    close = kernel(vocabulary)
+    x = close @ root
+    bags = [np.array(sorted(at[w] for w in ws)) for _, ws in rows]
     y = np.array([y for y, _ in rows])
-    sign = 2.0 * y - 1
-    weight = np.where(y == 1, 0.5 / max(1, y.sum()), 0.5 / max(1, (1 - y).sum()))
-    w, b = np.zeros(x.shape[1]), 0.0
-    mw, vw = np.zeros(len(w) + 1), np.zeros(len(w) + 1)
-    for t in range(1, rounds + 1):  # squared hinge, full batches
-        short = np.maximum(0, 1 - sign * (x @ w + b))
-        d = -2 * weight * short * sign
-        g = np.append(x.T @ d + 1e-3 * w, d.sum())
-        mw, vw = 0.9 * mw + 0.1 * g, 0.99 * vw + 0.01 * g * g
-        step = 0.1 * (mw / (1 - 0.9**t)) / (np.sqrt(vw / (1 - 0.99**t)) + 1e-9)
-        w, b = w - step[:-1], b - step[-1]
-    a, c = _logistic(x @ w + b, y, np.full(len(y), 1.0))
-    return {"landmarks": marks, "weights": root @ w * a, "bias": a * b + c}
+    own = [i for i, b in enumerate(bags) if len(b)]
+    margin = close.max(1) - 0.6  # at first, words close to a landmark speak for their text
+    w = np.zeros(len(marks) + 1)
+    for _ in range(passes):
+        shown = []
+        for i in own:
+            m = margin[bags[i]]
+            shown.append(bags[i][(m > 0) | (m == m.max())] if y[i] else bags[i][np.argsort(-m)[:3]])
+        sizes = np.array([len(v) for v in shown])
+        w = _machine(x[np.concatenate(shown)], np.repeat(y[own], sizes), np.repeat(1 / sizes, sizes), w, rounds)
+        margin = x @ w[:-1] + w[-1]
+    weights, bias = root @ w[:-1], float(w[-1])
+    margin = np.round(close @ weights + bias, 4)
+    return {"landmarks": marks, "weights": weights, "bias": bias, "link": _logistic(np.array([pooled(margin[b]) for b in bags]), y)}
 
 
 class Scorer:
-    """Features of documents; keeps those of words met before, up to `keep` words."""
+    """Scores of texts; keeps margins of words met before, up to `keep` words."""
 
-    def __init__(self, kernel: Kernel, keep: int = 300_000):
-        self.kernel, self.keep, self.known = kernel, keep, {}
-        self.rows = np.zeros((0, kernel.m), np.float32)
+    def __init__(self, model: dict, keep: int = 300_000):
+        self.model, self.kernel, self.keep, self.known = model, Kernel(model["landmarks"]), keep, {}
 
     def learn(self, ws: set[str]) -> None:
         new = sorted(w for w in ws if w not in self.known)
         if len(self.known) + len(new) > self.keep:
             self.known, new = {}, sorted(ws)
-        if new:
-            n = len(self.known)
-            if n + len(new) > len(self.rows):
-                self.rows = np.resize(self.rows, (max(1024, 2 * (n + len(new))), self.kernel.m))
-            self.rows[n : n + len(new)] = self.kernel.contained(new)
-            self.known.update(zip(new, range(n, n + len(new)), strict=True))
-
-    def document(self, ws: set[str]) -> np.ndarray:
+        for lo in range(0, len(new), 8192):
+            part = new[lo : lo + 8192]
+            self.known.update(zip(part, np.round(self.kernel(part) @ self.model["weights"] + self.model["bias"], 4).tolist(), strict=True))
+
+    def score(self, ws: set[str]) -> float:
         self.learn(ws)
-        return self.rows[[self.known[w] for w in ws]].max(0) if ws else np.zeros(self.kernel.m, np.float32)
+        link = self.model["link"]
+        return float(1 / (1 + np.exp(-np.clip(np.dot(pooled(np.array([self.known[w] for w in ws])), link[:-1]) + link[-1], -30, 30))))
 
 
 def fit(docs: DataFrame, labels: DataFrame, sample: int = 2000) -> dict | None:
@@ -193,16 +241,14 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = 2000) -> dict | None:
 def score_toxicity(docs: DataFrame, model: dict | None, threshold: float = 0.3) -> DataFrame:
     """doc_id, held_out, score, predicted."""
     def run(batches):
-        scorer = Scorer(Kernel(model["landmarks"])) if model else None
+        scorer = Scorer(model) if model else None
         for b in batches:
             data, off = utf8(b.column(1))
-            for lo in range(0, b.num_rows, 64):
-                hi = min(lo + 64, b.num_rows)
+            for lo, hi in blocks(off):
                 sets = [words(data[off[i] : off[i + 1]].tobytes().decode("utf-8", "replace")) if model else set() for i in range(lo, hi)]
                 if model:
                     scorer.learn(set().union(*sets))
-                z = [float(scorer.document(s) @ model["weights"] + model["bias"]) if model else 0.0 for s in sets]
-                yield pa.RecordBatch.from_arrays([b.column(0).slice(lo, hi - lo), pa.array(1 / (1 + np.exp(-np.clip(z, -30, 30))), pa.float64())], names=["doc_id", "score"])
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(lo, hi - lo), pa.array([scorer.score(s) if model else 0.5 for s in sets], pa.float64())], names=["doc_id", "score"])
 
     out = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, score double")
     return out.select("doc_id", F.expr(HELD_OUT).alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
