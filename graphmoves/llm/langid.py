@@ -3,8 +3,10 @@
 Every byte position gets a label distribution; a document's distribution is the mean over all its
 positions. Texts are read in stretches of `stretch` bytes, each with fresh states at both ends, so that
 thousands of stretches advance together and long texts cost no more memory.
-Bounded training sample: `sample` documents by hash order, one window of `window` bytes each.
-Edge cases: null text or no letters: "und", score 0. Equal texts get equal results.
+Bounded training sample: `sample` documents by hash order, one window of `window` bytes each; rows equal in id
+and text count once, by the least lang.
+Edge cases: null text or no letters: "und", score 0. Equal texts get equal results. An empty table gives no rows; without
+any lang to learn all are "und".
 """
 
 from __future__ import annotations
@@ -138,7 +140,8 @@ def fit(docs: DataFrame, sample: int = 4000, window: int = 96, hidden: int = 8,
     own = own.select("lang", "text", F.xxhash64("doc_id", "text").alias("h"))
     last = own.select("h").orderBy("h").limit(sample).agg(F.max("h")).first()[0]
     place = F.pmod(F.xxhash64("text", F.lit(5)), F.greatest(F.lit(1), F.length("text") - window)) + 1
-    rows = own.where(F.col("h") <= last).select("lang", "h", F.substring("text", place.cast("int"), F.lit(window)).alias("w")).limit(2 * sample).collect() if last is not None else []
+    rows = own.where(F.col("h") <= F.lit(last)).select("lang", "h", F.substring("text", place.cast("int"), F.lit(window)).alias("w"))
+    rows = rows.groupBy("h").agg(F.min(F.struct("lang", "w")).alias("r")).select("h", "r.*").collect() if last is not None else []  # a row per hash: at most `sample`
     rows.sort(key=lambda r: (r.h, r.w))
     langs = sorted({r.lang for r in rows})
     if not langs:

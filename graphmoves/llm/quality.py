@@ -1,9 +1,9 @@
 """Quality classifier: a factorisation machine over hashed words, structure statistics and text metadata.
 
 Score of x: w0 + <w, x> + 1/2 * sum_f ((sum_i v_if x_i)^2 - sum_i v_if^2 x_i^2), linear in the number of
-non-zero features. Training uses at most `sample` labelled documents of each class, by hash order; the
-score covers every word of every text. Edge cases: null and empty texts score from the statistics alone;
-equal texts get equal scores; without labels every score is 0.5.
+non-zero features. Training uses at most `sample` labelled documents of each class, by hash order, of at most 64 KB each;
+the score covers every word of every text, however long. Edge cases: null and empty texts score from the statistics alone;
+equal texts get equal scores; without labels every score is 0.5; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -93,12 +93,16 @@ def train(rows: list[tuple[np.ndarray, np.ndarray]], y: np.ndarray, rank: int =
     return m
 
 
-def training_sample(docs: DataFrame, labels: DataFrame, label: str, held_out: str, sample: int) -> DataFrame:
-    """y and text of at most `sample` labelled documents of each class: what is broadcast is so bounded."""
-    own = labels.where(f"not {held_out} and doc_id is not null and {label} is not null").select(F.col("doc_id").alias("_i"), F.col(label).cast("int").alias("y"))
-    order = F.xxhash64("_i")
-    picked = own.where("y = 1").orderBy(order).limit(sample).union(own.where("y = 0").orderBy(order).limit(sample))
-    return docs.select("doc_id", "text").join(F.broadcast(picked), F.col("doc_id") == F.col("_i")).select("y", "text")
+def training_sample(docs: DataFrame, labels: DataFrame, label: str, held_out: str, sample: int, longest: int = 1 << 16) -> DataFrame:
+    """y and text of at most `sample` labelled documents of each class, none above `longest` bytes: what is broadcast and gathered is so bounded.
+
+    An id with several labels counts by the least; of several texts of one id the least is taken.
+    """
+    own = labels.where(f"not {held_out} and doc_id is not null and {label} is not null").groupBy(F.col("doc_id").alias("_i")).agg(F.min(F.col(label).cast("int")).alias("y"))
+    order = [F.xxhash64("_i"), "_i"]
+    picked = own.where("y = 1").orderBy(*order).limit(sample).union(own.where("y = 0").orderBy(*order).limit(sample))
+    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).where(F.octet_length("text") <= longest).join(F.broadcast(picked), F.col("doc_id") == F.col("_i"))
+    return rows.groupBy("doc_id").agg(F.first("y").alias("y"), F.min("text").alias("text")).select("y", "text")
 
 
 def fit(docs: DataFrame, labels: DataFrame, sample: int = 2500) -> dict | None:
