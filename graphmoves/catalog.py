@@ -100,18 +100,18 @@ def _bids_sql(pairs: str, objective: str) -> str:
 def bids_modularity_trade(s, d):
     g = trade(s, d)
     st = M.state_of(g, M.singleton_labels(g))
-    return M.make_bids(g, st, M.cluster_stats(g, st, False), 0, 0, PORTABLE, False).select("v", "c", "x", "vol_wo", "is_own")
+    return M.make_bids(g, st, M.cluster_stats(g, st, False), 0, 0, PORTABLE).select("v", "c", "x", "vol_wo", "is_own")
 
 
 @entry(_bids_sql(PLANTED, "map"))
 def bids_map_planted(s, d):
     g = planted(s, d)
     st = M.state_of(g, M.singleton_labels(g))
-    return M.make_bids(g, st, M.cluster_stats(g, st, True), 0, 0, PORTABLE, True).select("v", "c", "x", "vol_wo", "is_own", "cut_wo")
+    return M.make_bids(g, st, M.cluster_stats(g, st, True), 0, 0, PORTABLE, ("vol", "cut")).select("v", "c", "x", "vol_wo", "is_own", "cut_wo")
 
 
 for _s in ("broadcast_labels", "cluster_local"):
-    QUERIES[f"bids_{_s}_trade"] = lambda s, d, k=_s: (lambda g, st: M.make_bids(g, st, M.cluster_stats(g, st, False), 0, 0, Config(hash_kind="portable", strategy=k), False).select("v", "c", "x", "vol_wo", "is_own"))(*(lambda g: (g, M.state_of(g, M.singleton_labels(g))))(trade(s, d)))
+    QUERIES[f"bids_{_s}_trade"] = lambda s, d, k=_s: (lambda g, st: M.make_bids(g, st, M.cluster_stats(g, st, False), 0, 0, Config(hash_kind="portable", strategy=k)).select("v", "c", "x", "vol_wo", "is_own"))(*(lambda g: (g, M.state_of(g, M.singleton_labels(g))))(trade(s, d)))
     ORACLE_SQL[f"bids_{_s}_trade"] = _bids_sql(TRADE, "modularity")
 
 
@@ -157,7 +157,7 @@ def truth_vs_singleton(s, d):
 
 @entry(_scored(PLANTED, O.TRUTH, "SELECT c, CAST(vol AS BIGINT) AS vol, CAST(inner_w AS BIGINT) AS inner_w, CAST(cut AS BIGINT) AS cut, size FROM st"))
 def cluster_stats_planted(s, d):
-    return Q.measures(planted(s, d), graphs.planted_truth(s, d)).select("c", "vol", F.col("inner").alias("inner_w"), "cut", "size")
+    return Q.measures(planted(s, d), graphs.planted_truth(s, d)).select("c", "vol", F.col("inner").alias("inner_w"), "cut", F.col("members").alias("size"))
 
 
 @entry(_scored(O.GRAPH_SQL["geo"], "SELECT id, CASE WHEN id % 4 = 3 THEN id WHEN id % 4 = 2 THEN 4 * CAST(n_regionkey AS BIGINT) + 3 ELSE -1 END AS c FROM nodes LEFT JOIN nation ON id = n_nationkey * 4 + 2", "SELECT round(sum(inner_w) / max(t)::DOUBLE, 9) AS coverage FROM st, total"))
@@ -211,7 +211,7 @@ def contract_planted_by_nation(s, d):
 
 @entry(_scored(PLANTED, O.TRUTH, "SELECT c AS id, CAST(inner_w // 2 AS BIGINT) AS loop, CAST(vol AS BIGINT) AS deg FROM st"))
 def contract_loops_planted(s, d):
-    return V.contract(planted(s, d), graphs.planted_truth(s, d), dense=False)[0].nodes
+    return V.contract(planted(s, d), graphs.planted_truth(s, d), dense=False)[0].nodes.select("id", "loop", "deg")
 
 
 @entry("SELECT c_custkey AS id, CAST(n_regionkey AS BIGINT) AS c FROM customer JOIN nation ON c_nationkey = n_nationkey")

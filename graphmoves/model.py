@@ -7,7 +7,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
-EDGE_COLUMNS, NODE_COLUMNS, LABEL_COLUMNS = ("src", "dst", "w"), ("id", "loop", "deg"), ("id", "c")
+EDGE_COLUMNS, NODE_COLUMNS, LABEL_COLUMNS = ("src", "dst", "w"), ("id", "loop", "deg", "mass"), ("id", "c")
 RUNS = T.StructType([T.StructField(n, t) for n, t in (
     ("graph", T.StringType()), ("algo", T.StringType()), ("objective", T.StringType()), ("seed", T.IntegerType()),
     ("params", T.MapType(T.StringType(), T.StringType())), ("seconds", T.DoubleType()), ("modularity", T.DoubleType()),
@@ -24,8 +24,9 @@ def require(df: DataFrame, columns: tuple[str, ...]) -> DataFrame:
 @dataclass(frozen=True)
 class WeightedGraph:
     edges: DataFrame
-    nodes: DataFrame
+    nodes: DataFrame  # mass: how many nodes of the first level a node stands for
     total: int | float  # sum of degrees
+    buckets: int = 0  # of edges by src and nodes by id, the same number; 0: neither is bucketed
 
     @property
     def exact(self) -> bool:
@@ -42,8 +43,9 @@ class Config:
     hash_kind: str = "fast"  # "portable": the same in any SQL engine
     strategy: str = "edge_join"  # or "broadcast_labels", "cluster_local"
     stats: str = "per_sub_round"  # "per_round": cluster measures grow stale within a round
-    broadcast_bytes: int = 32 << 20  # what labels may take at most to be broadcast
-    merge: bool = True  # keep both objectives' rule "stay unless strictly better"
+    broadcast_bytes: int = 32 << 20  # what labels may take at most to be broadcast; beyond, edges are joined
+    trace: str = "rounds"  # "sub_rounds": a row for each of these too
+    scores: bool = False  # the trace holds scores, at the price of a pass over the edges for each row
     min_gain_digits: int = 12
 
 

@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from graphmoves.model import Config, Result, WeightedGraph
 from graphmoves.plans.moving import local_moving
-from graphmoves.session import snapshot
+from graphmoves.session import bucketed, buckets_for, drop, kept_by, snapshot
 from graphmoves.sources.build import dense_ids
 
 
@@ -23,12 +23,15 @@ def contract(g: WeightedGraph, labels: DataFrame, dense: bool = True) -> tuple[W
     half = g.edges.join(own.select(F.col("id").alias("src"), F.col("c").alias("a")), "src").groupBy("a", "dst").agg(F.sum("w").alias("w"))
     both = half.join(own.select(F.col("id").alias("dst"), F.col("c").alias("b")), "dst").groupBy("a", "b").agg(F.sum("w").alias("w"))
     both = snapshot(both)
-    edges = snapshot(both.where("a <> b").selectExpr("a as src", "b as dst", "w").repartition("src"))
+    n = buckets_for(both.sparkSession, both.count())
+    edges = bucketed(both.where("a <> b").selectExpr("a as src", "b as dst", "w"), "src", n)
     inner = both.where("a = b").selectExpr("a as id", "w as i")
-    kept = g.nodes.join(own, "id").groupBy(F.col("c").alias("id")).agg(F.sum("loop").alias("loop"), F.sum("deg").alias("deg"))
+    kept = g.nodes.join(own, "id").groupBy(F.col("c").alias("id")).agg(F.sum("loop").alias("loop"), F.sum("deg").alias("deg"), F.sum("mass").alias("mass"))
     kind = g.nodes.schema["loop"].dataType
-    nodes = kept.join(inner, "id", "left").select("id", (F.col("loop") + (F.coalesce("i", F.lit(0)) / 2).cast(kind)).alias("loop"), "deg")
-    return WeightedGraph(edges, snapshot(nodes), g.total), own.select(F.col("id").alias("fine_id"), F.col("c").alias("coarse_id"))
+    nodes = kept.join(inner, "id", "left").select("id", (F.col("loop") + (F.coalesce("i", F.lit(0)) / 2).cast(kind)).alias("loop"), "deg", "mass")
+    nodes = bucketed(nodes, "id", n)
+    drop(both)
+    return WeightedGraph(edges, nodes, g.total, n), kept_by(own.select(F.col("id").alias("fine_id"), F.col("c").alias("coarse_id")), own)
 
 
 def unpack(coarse: DataFrame, members: DataFrame) -> DataFrame:
@@ -44,15 +47,18 @@ def cluster(g: WeightedGraph, objective: str = "modularity", cfg: Config | None
         labels, own = local_moving(graph, labels, replace(cfg, seed=cfg.seed + level), objective, level)
         trace += own
         level += 1
-        n, c = graph.nodes.count(), labels.select("c").distinct().count()
-        if n == c or level >= cfg.max_levels:
+        if level >= cfg.max_levels or graph.nodes.count() == (own[-1][4] if own else 0):
             break
-        graph, m = contract(graph, labels)
+        coarse, m = contract(graph, labels)
         members.append(m)
-        labels = None
+        drop(labels, *((graph.edges, graph.nodes) if graph is not g else ()))
+        graph, labels = coarse, None
+    last = labels
     for m in reversed(members):
         labels = unpack(labels, m)
-    return Result(snapshot(labels), level, trace, members)
+    labels = snapshot(labels)
+    drop(last, *((graph.edges, graph.nodes) if graph is not g else ()))
+    return Result(labels, level, trace, members)
 
 
 def sync_modularity(g: WeightedGraph, cfg: Config | None = None, **kw) -> Result:

@@ -1,20 +1,35 @@
 """Synchronous local moving: activation, cluster measures, bids, comparison, labels carried over.
 
-State is one table (id, c, deg, loop). Edges are kept partitioned by `src`, so attaching the far end's
-cluster moves no edge; of each sub-round only the active share of the edges, 1 / k, is shuffled, to the
-node that is free to move.
+State is one table (id, c, deg, loop, mass and the measures of c), bucketed by id as edges are by src, so
+attaching the far end's cluster and its measures moves no edge; of each sub-round only the active share of the edges,
+1 / k, is shuffled, to the node that is free to move. Measures are kept up to date by what movers change: volumes
+and masses by the movers themselves, cuts by their folded bids, corrected for edges both ends of which moved.
 """
 
 from __future__ import annotations
 
 import math
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from graphmoves.functions.columns import DEC, activation, plogp, tie_key
 from graphmoves.model import Config, WeightedGraph
-from graphmoves.session import drop, snapshot
+from graphmoves.session import bucketed, drop, kept_by, snapshot
+
+#: Cluster measures that an objective's bids hold, and the node's own part in each.
+MEASURES = {"modularity": ("vol",), "resolution": ("vol",), "map": ("vol", "cut"), "constant_size": ("size",)}
+OWN = {"vol": "deg", "size": "mass"}
+#: Bytes of a row of labels with measures in a broadcast table.
+LABEL_BYTES = 64
+
+
+def measures_of(objective: str) -> tuple[str, ...]:
+    """The measures of "modularity", "map", "constant_size" or "resolution:<number>"."""
+    kind, _, gamma = objective.partition(":")
+    if kind not in MEASURES or (kind == "resolution") != bool(gamma):
+        raise ValueError(f"unknown objective {objective!r}")
+    return MEASURES[kind]
 
 
 def singleton_labels(g: WeightedGraph) -> DataFrame:
@@ -22,78 +37,75 @@ def singleton_labels(g: WeightedGraph) -> DataFrame:
 
 
 def state_of(g: WeightedGraph, labels: DataFrame) -> DataFrame:
-    return g.nodes.join(labels.select("id", "c"), "id").select("id", "c", "deg", "loop")
+    return g.nodes.join(labels.select("id", "c"), "id").select("id", "c", "deg", "loop", "mass")
 
 
 def cluster_stats(g: WeightedGraph, state: DataFrame, need_cut: bool) -> DataFrame:
-    """c, vol, size and, if needed, inner and cut = vol - inner; loops count twice."""
-    vol = state.groupBy("c").agg(F.sum("deg").alias("vol"), F.sum(2 * F.col("loop")).alias("loops"), F.count("*").alias("size"))
+    """c, vol, mass, size and, if needed, inner and cut = vol - inner, from scratch; loops count twice."""
+    vol = state.groupBy("c").agg(F.sum("deg").alias("vol"), F.sum(2 * F.col("loop")).alias("loops"), F.count("*").alias("members"), F.sum("mass").alias("size"))
     if not need_cut:
-        return vol.select("c", "vol", "size")
+        return vol.select("c", "vol", "members", "size")
     at = state.select("id", "c")
     same = g.edges.join(at.withColumnRenamed("id", "src"), "src").groupBy("dst", "c").agg(F.sum("w").alias("w"))
     inner = same.join(at.select(F.col("id").alias("dst"), "c"), ["dst", "c"]).groupBy("c").agg(F.sum("w").alias("i"))
     out = vol.join(inner, "c", "left").withColumn("inner", F.coalesce("i", F.lit(0)) + F.col("loops"))
-    return out.select("c", "vol", "inner", (F.col("vol") - F.col("inner")).alias("cut"), "size")
+    return out.select("c", "vol", "inner", (F.col("vol") - F.col("inner")).alias("cut"), "members", "size")
 
 
 def total_cut(stats: DataFrame) -> DataFrame:
     return stats.agg(F.sum("cut").alias("s"))
 
 
-def _attach(g: WeightedGraph, enriched: DataFrame, active: Column, cfg: Config) -> DataFrame:
+def _attach(g: WeightedGraph, enriched: DataFrame, active: Column, cfg: Config, measures: tuple[str, ...]) -> DataFrame:
     """v, c, x and the far end's cluster measures, for edges into active nodes."""
     far = enriched.withColumnRenamed("id", "src")
-    if cfg.strategy == "broadcast_labels":
+    if cfg.strategy == "broadcast_labels" and g.nodes.count() * LABEL_BYTES <= cfg.broadcast_bytes:
         far = F.broadcast(far)
-    return g.edges.where(active).join(far, "src").select(F.col("dst").alias("v"), "c", F.col("w").alias("x"), *[m for m in ("vol", "cut") if m in enriched.columns])
+    return g.edges.where(active).join(far, "src").select(F.col("dst").alias("v"), "c", F.col("w").alias("x"), *measures)
 
 
-def make_bids(g: WeightedGraph, state: DataFrame, stats: DataFrame, rnd: int, i: int, cfg: Config, need_cut: bool) -> DataFrame:
-    """A row per active node and cluster that bids for it: v, c, x, vol_wo, cut_wo, is_own, deg, loop.
+def make_bids(g: WeightedGraph, state: DataFrame, stats: DataFrame | None, rnd: int, i: int, cfg: Config, measures: tuple[str, ...] = ("vol",)) -> DataFrame:
+    """A row per active node and cluster that bids for it: v, a (its own cluster), c, x, the measures with and without the node, is_own, deg, loop, mass.
 
-    The own cluster always bids, if only with x = 0, so that staying competes.
+    The own cluster always bids, if only with x = 0, so that staying competes. Without stats the state holds the measures.
     """
-    if cfg.strategy == "cluster_local":
-        return _cluster_local_bids(g, state, stats, rnd, i, cfg, need_cut)
-    measures = ["vol", "cut"] if need_cut else ["vol"]
-    enriched = state.select("id", "c", "deg", "loop").join(stats.select("c", *measures), "c")
+    enriched = state if stats is None else state.join(stats.select("c", *measures), "c")
     on = lambda v: activation(v, rnd, cfg.seed, cfg.sub_rounds, cfg.hash_kind) == i
-    links = _attach(g, enriched.select("id", "c", *measures), on(F.col("dst")), cfg)
-    own = enriched.where(on(F.col("id"))).select(F.col("id").alias("v"), F.col("c").alias("a"), "deg", "loop", *measures)
-    stay = own.select("v", F.col("a").alias("c"), F.lit(0).cast(g.edges.schema["w"].dataType).alias("x"), *measures)
-    every = links.unionByName(stay).repartition("v")
-    fold = every.groupBy("v", "c").agg(F.sum("x").alias("x"), *[F.max(m).alias(m) for m in measures])
-    return exclude_self(fold.join(own.select("v", "a", "deg", "loop"), "v"), need_cut)
-
-
-def exclude_self(fold: DataFrame, need_cut: bool) -> DataFrame:
-    """Volume and cut of each bidding cluster without the node."""
+    zero = F.lit(0).cast(g.edges.schema["w"].dataType)
+    own = enriched.where(on(F.col("id"))).select(F.col("id").alias("v"), "c", zero.alias("x"), *measures, F.lit(1).alias("is_own"), "deg", "loop", "mass")
+    if cfg.strategy == "cluster_local":
+        every = _cluster_local_links(g, enriched, on, measures).unionByName(own, allowMissingColumns=True).repartition("v")
+    else:
+        every = _attach(g, enriched.select("id", "c", *measures), on(F.col("dst")), cfg, measures).unionByName(own, allowMissingColumns=True)
+        every = every.repartition(g.buckets, "v") if g.buckets else every.repartition("v")
+    fold = every.groupBy("v", "c").agg(F.sum("x").alias("x"), *[F.max(m).alias(m) for m in (*measures, "is_own", "deg", "loop", "mass")])
+    of = Window.partitionBy("v")  # what only the own cluster's row has, spread over the node's bids; already together
+    mine = F.max(F.when(F.col("is_own") == 1, F.col("c"))).over(of).alias("a")
+    return exclude_self(fold.select("v", "c", "x", *measures, mine, *[F.max(k).over(of).alias(k) for k in ("deg", "loop", "mass")]), measures)
+
+
+def exclude_self(fold: DataFrame, measures: tuple[str, ...]) -> DataFrame:
+    """Measures of each bidding cluster without the node."""
     mine = F.col("c") == F.col("a")
-    out = fold.withColumn("is_own", mine.cast("int")).withColumn("vol_wo", F.when(mine, F.col("vol") - F.col("deg")).otherwise(F.col("vol")))
-    cut = F.when(mine, F.col("cut") - F.col("deg") + 2 * F.col("loop") + 2 * F.col("x")).otherwise(F.col("cut")) if need_cut else F.lit(None).cast("long")
-    own_cut = [F.when(mine, F.col("cut")).alias("own_cut")] if need_cut else []
-    return out.withColumn("cut_wo", cut).select("v", "c", "x", "vol_wo", "cut_wo", "is_own", "deg", "loop", *own_cut)
+    less = {m: F.col(m) - F.col(OWN[m]) for m in measures if m in OWN}
+    if "cut" in measures:
+        less["cut"] = F.col("cut") - F.col("deg") + 2 * F.col("loop") + 2 * F.col("x")
+    return fold.select("v", "a", "c", "x", *measures, *[F.when(mine, less[m]).otherwise(F.col(m)).alias(f"{m}_wo") for m in measures], mine.cast("int").alias("is_own"), "deg", "loop", "mass")
 
 
-def _cluster_local_bids(g, state, stats, rnd, i, cfg, need_cut) -> DataFrame:
-    """A whole cluster with all its edges in one worker: bounded by the largest cluster's edges; for comparison only."""
+def _cluster_local_links(g: WeightedGraph, enriched: DataFrame, on, measures: tuple[str, ...]) -> DataFrame:
+    """Links as whole clusters see them: each with all its edges in one worker, bounded by the largest cluster's edges; for comparison only."""
     import pandas as pd
 
-    measures = ["vol", "cut"] if need_cut else ["vol"]
-    on = lambda v: activation(v, rnd, cfg.seed, cfg.sub_rounds, cfg.hash_kind) == i
-    act = g.edges.withColumn("act", on(F.col("dst")))
-    own = state.where(on(F.col("id"))).select(F.col("id").alias("v"), F.col("c").alias("a"), "deg", "loop")
-    elements = act.join(state.select(F.col("id").alias("src"), "c"), "src").where("act").select("c", F.col("dst").alias("v"), "w")
-    elements = elements.unionByName(own.select(F.col("a").alias("c"), "v", F.lit(0).cast(g.edges.schema["w"].dataType).alias("w")))
+    kind = g.edges.schema["w"].dataType.simpleString()
+    elements = g.edges.withColumn("act", on(F.col("dst"))).join(enriched.select(F.col("id").alias("src"), "c", *measures), "src").where("act")
 
     def bid(pdf: pd.DataFrame) -> pd.DataFrame:
         x = pdf.groupby("v", as_index=False).w.sum()
-        return pd.DataFrame({"v": x.v, "c": pdf.c.iloc[0], "x": x.w})
+        return pd.DataFrame({"v": x.v, "c": pdf.c.iloc[0], "x": x.w, **{m: pdf[m].iloc[0] for m in measures}})
 
-    kind = g.edges.schema["w"].dataType.simpleString()
-    fold = elements.groupBy("c").applyInPandas(bid, f"v long, c long, x {kind}").join(stats.select("c", *measures), "c")
-    return exclude_self(fold.join(own, "v"), need_cut)
+    schema = f"v long, c long, x {kind}, " + ", ".join(f"{m} {enriched.schema[m].dataType.simpleString()}" for m in measures)
+    return elements.select("c", F.col("dst").alias("v"), "w", *measures).groupBy("c").applyInPandas(bid, schema)
 
 
 def modularity_gain(g: WeightedGraph) -> Column:
@@ -106,11 +118,25 @@ def modularity_gain(g: WeightedGraph) -> Column:
     return (d(F.col("x")) * d(F.lit(int(g.total)))).cast(DEC) - (d(F.col("deg")) * d(F.col("vol_wo"))).cast(DEC)
 
 
+def _best(score: Column, measures: tuple[str, ...], cfg: Config) -> list[Column]:
+    """Aggregates over a node's bids: the best one, and what the node had. A pairwise reduction, no list per node."""
+    key = [score.alias("g"), F.col("is_own"), tie_key(F.col("c"), F.col("v"), cfg.seed, cfg.hash_kind).alias("t"), F.col("c")]
+    own_x = F.max(F.when(F.col("is_own") == 1, F.col("x"))).alias("own_x")
+    return [F.max(F.struct(*key, "x", *measures)).alias("b"), own_x, *[F.max(k).alias(k) for k in ("a", "deg", "loop", "mass")]]
+
+
+def _chosen(best: DataFrame, measures: tuple[str, ...]) -> DataFrame:
+    """v, c (chosen), a (before), x and own_x (weight to either), the chosen cluster's measures, deg, loop, mass."""
+    return best.select("v", F.col("b.c").alias("c"), "a", F.col("b.x").alias("x"), "own_x", *[F.col(f"b.{m}").alias(m) for m in measures], "deg", "loop", "mass")
+
+
+def choose_by_gain(bids: DataFrame, gain: Column, cfg: Config, measures: tuple[str, ...]) -> DataFrame:
+    """The best bid by a gain that needs nothing but the bid; the own cluster wins ties."""
+    return _chosen(bids.groupBy("v").agg(*_best(gain, measures, cfg)), measures)
+
+
 def choose_modularity(bids: DataFrame, g: WeightedGraph, cfg: Config, gain: Column | None = None) -> DataFrame:
-    """v, c of the best bid; the own cluster wins ties. A pairwise reduction, no list per node."""
-    gain = modularity_gain(g) if gain is None else gain
-    best = F.max(F.struct(gain.alias("g"), F.col("is_own"), tie_key(F.col("c"), F.col("v"), cfg.seed, cfg.hash_kind).alias("t"), F.col("c")))
-    return bids.groupBy("v").agg(best.alias("b")).select("v", F.col("b.c").alias("c"))
+    return choose_by_gain(bids, modularity_gain(g) if gain is None else gain, cfg, ("vol",))
 
 
 def map_delta(total: float) -> Column:
@@ -122,54 +148,154 @@ def map_delta(total: float) -> Column:
     return p(F.col("s0") - F.col("cut_wo") + cu) - 2 * (p(cu) - p(F.col("cut_wo"))) + (p(cu + F.col("vol_wo") + F.col("deg")) - p(F.col("cut_wo") + F.col("vol_wo")))
 
 
-def choose_map(bids: DataFrame, g: WeightedGraph, cut: DataFrame, cfg: Config) -> DataFrame:
-    """v, c of least map equation; every bid needs the own cluster's, spread over the node's bids by a window."""
+def choose_map(bids: DataFrame, g: WeightedGraph, cut: DataFrame | int | float, cfg: Config) -> DataFrame:
+    """The bid of least map equation; every bid needs the own cluster's, spread over the node's bids by a window. cut: all clusters', or a frame (s) of one row."""
     over = Window.partitionBy("v")
-    own = bids.crossJoin(F.broadcast(cut))  # one row
-    own = own.withColumn("s0", F.col("s") - F.max("own_cut").over(over) + F.max(F.when(F.col("is_own") == 1, F.col("cut_wo"))).over(over))
+    own = bids.crossJoin(F.broadcast(cut)) if isinstance(cut, DataFrame) else bids.withColumn("s", F.lit(cut))
+    mine = lambda m: F.max(F.when(F.col("is_own") == 1, F.col(m))).over(over)
+    own = own.withColumn("s0", F.col("s") - mine("cut") + mine("cut_wo"))
     score = -F.round(map_delta(g.total), cfg.min_gain_digits)
-    best = F.max(F.struct(score.alias("g"), F.col("is_own"), tie_key(F.col("c"), F.col("v"), cfg.seed, cfg.hash_kind).alias("t"), F.col("c")))
-    return own.groupBy("v").agg(best.alias("b")).select("v", F.col("b.c").alias("c"))
+    return _chosen(own.groupBy("v").agg(*_best(score, ("vol", "cut"), cfg)), ("vol", "cut"))
+
+
+def choose(bids: DataFrame, g: WeightedGraph, objective: str, cfg: Config, cut: DataFrame | int | float | None = None) -> DataFrame:
+    """The chosen bid of every active node, by the objective."""
+    measures = measures_of(objective)
+    if objective == "map":
+        return choose_map(bids, g, cut, cfg)
+    if objective == "constant_size":
+        n = g.nodes.agg(F.sum("mass")).first()[0] or 0
+        return choose_by_gain(bids, F.col("x") * (float(n) * n / float(g.total or 1)) - F.col("mass") * F.col("size_wo"), cfg, measures)
+    if objective.startswith("resolution:"):
+        return choose_by_gain(bids, F.col("x") * float(g.total) - float(objective[11:]) * F.col("deg") * F.col("vol_wo"), cfg, measures)
+    return choose_modularity(bids, g, cfg)
 
 
 def apply_moves(state: DataFrame, moves: DataFrame) -> DataFrame:
     """Nodes without a move keep their cluster."""
     m = moves.select(F.col("v").alias("id"), F.col("c").alias("to"))
-    return state.join(m, "id", "left").select("id", F.coalesce("to", "c").alias("c"), "deg", "loop")
-
+    return state.join(m, "id", "left").select("id", F.coalesce("to", "c").alias("c"), "deg", "loop", "mass")
+
+
+def sub_round(g: WeightedGraph, state: DataFrame, rnd: int, i: int, cfg: Config, objective: str) -> DataFrame:
+    """One sub-round on a state without measures, as a plan: measures from scratch, bids, choice, labels carried over."""
+    measures = measures_of(objective)
+    stats = cluster_stats(g, state, "cut" in measures)
+    bids = make_bids(g, state, stats, rnd, i, cfg, measures)
+    return apply_moves(state, choose(bids, g, objective, cfg, total_cut(stats) if "cut" in measures else None))
+
+
+def with_measures(g: WeightedGraph, labels: DataFrame | None, measures: tuple[str, ...]) -> DataFrame:
+    """State with the measures of every node's cluster; singletons have them in their own columns."""
+    if labels is None:
+        alone = {"vol": F.col("deg"), "cut": F.col("deg") - 2 * F.col("loop"), "size": F.col("mass")}
+        return g.nodes.select("id", F.col("id").alias("c"), "deg", "loop", "mass", *[alone[m].alias(m) for m in measures])
+    state = state_of(g, labels)
+    return state.join(cluster_stats(g, state, "cut" in measures).select("c", *measures), "c").select(*state.columns, *measures)
+
+
+def _kept(g: WeightedGraph, state: DataFrame) -> DataFrame:
+    return bucketed(state, "id", g.buckets) if g.buckets else snapshot(state)
+
+
+def _all_cuts(g: WeightedGraph, state: DataFrame) -> int | float:
+    """Sum of all clusters' cuts, each once: clusters of a written state."""
+    return state.groupBy("c").agg(F.max("cut").alias("cut")).agg(F.sum("cut")).first()[0] or 0
+
+
+def _both_moved(g: WeightedGraph, movers: DataFrame, on) -> DataFrame:
+    """c, d_inner: what one-sided updates of two neighbours that both moved have got wrong. Only edges with both ends active are read on."""
+    far = movers.select(F.col("v").alias("src"), F.col("a").alias("au"), F.col("c").alias("bu"))
+    near = movers.select(F.col("v").alias("dst"), F.col("a").alias("av"), F.col("c").alias("bv"))
+    e = g.edges.where(on(F.col("src")) & on(F.col("dst"))).join(far, "src").join(near, "dst")
+    fix = lambda c, d: F.struct(F.col(c).alias("c"), F.when(d[0], d[1] * F.col("w")).alias("d_inner"))
+    rows = F.array(fix("av", (F.expr("au = av"), 1)), fix("bv", (F.expr("au = bv"), -2)), fix("bv", (F.expr("bu = bv"), 1)))
+    return e.select(F.explode(rows).alias("r")).select("r.*").where("d_inner is not null")
+
+
+def changes(g: WeightedGraph, movers: DataFrame, measures: tuple[str, ...], on) -> DataFrame:
+    """c and d_<measure>: how the movers change the measures of clusters. Rows only for clusters that nodes leave or enter."""
+    ends = [("a", -1, "own_x"), ("c", 1, "x")]
+    kinds = {f"d_{m}": OWN[m] for m in measures if m in OWN}
+    row = lambda c, sign, x: F.struct(F.col(c).alias("c"), *[(sign * F.col(k)).alias(d) for d, k in kinds.items()], *([(sign * 2 * (F.col(x) + F.col("loop"))).alias("d_inner")] * ("cut" in measures)))
+    booked = movers.select(F.explode(F.array(*[row(*e) for e in ends])).alias("r")).select("r.*")
+    if "cut" not in measures:
+        return booked.groupBy("c").agg(*[F.sum(d).alias(d) for d in kinds])
+    both = _both_moved(g, movers, on)
+    every = booked.unionByName(both, allowMissingColumns=True)
+    inner = F.coalesce(F.sum("d_inner"), F.lit(0))
+    vol = F.coalesce(F.sum("d_vol"), F.lit(0))
+    return every.groupBy("c").agg(vol.alias("d_vol"), (vol - inner).alias("d_cut"))
+
+
+def _step(g: WeightedGraph, state: DataFrame, cut, rnd: int, i: int, cfg: Config, objective: str, size) -> tuple[DataFrame, int | float | None, int]:
+    """State, sum of cuts and number of movers after a sub-round. One shuffle of the active edges; all else is of nodes or movers."""
+    measures = measures_of(objective)
+    seen = Observation()
+    moves = choose(make_bids(g, state, None, rnd, i, cfg, measures), g, objective, cfg, cut) if size is None else choose_by_gain(make_bids(g, state, None, rnd, i, cfg, measures), size, cfg, measures)
+    moves = snapshot(moves.where("c <> a").observe(seen, F.count(F.lit(1)).alias("n")))
+    moved = seen.get["n"]
+    if not moved:
+        drop(moves)
+        return state, cut, 0
+    on = lambda v: activation(v, rnd, cfg.seed, cfg.sub_rounds, cfg.hash_kind) == i
+    to = moves.select(F.col("v").alias("id"), F.col("c").alias("_c"), *[F.col(m).alias(f"_{m}") for m in measures])
+    new = state.join(to, "id", "left").select("id", F.coalesce("_c", "c").alias("c"), "deg", "loop", "mass", *[F.coalesce(f"_{m}", m).alias(m) for m in measures])
+    delta = None
+    if cfg.stats != "per_round":
+        delta = changes(g, moves, measures, on)
+        if "cut" in measures:
+            summed = Observation()
+            delta = snapshot(delta.observe(summed, F.sum("d_cut").alias("s")))
+            cut += summed.get["s"] or 0
+        new = new.join(delta, "c", "left").select("id", "c", "deg", "loop", "mass", *[(F.col(m) + F.coalesce(f"d_{m}", F.lit(0))).alias(m) for m in measures])
+    new = _kept(g, new)
+    drop(moves, delta, state)
+    return new, cut, moved
+
+
+def score_of(g: WeightedGraph, labels: DataFrame, objective: str) -> float:
+    from graphmoves import quality as Q
+
+    if objective == "map":
+        return Q.map_equation(g, labels, with_nodes=False)
+    if objective == "constant_size":
+        return Q.constant_size(g, labels)
+    return Q.modularity(g, labels, gamma=float(objective[11:]) if objective.startswith("resolution:") else 1.0)
 
-OBJECTIVES = ("modularity", "map", "constant_size")
 
+def local_moving(g: WeightedGraph, labels: DataFrame | None, cfg: Config, objective: str, level: int = 0) -> tuple[DataFrame, list[tuple]]:
+    """Rounds until nobody moves or the cap; state is written after every sub-round in which anybody moved.
 
-def sub_round(g: WeightedGraph, state: DataFrame, rnd: int, i: int, cfg: Config, objective: str, stats: DataFrame | None = None) -> DataFrame:
-    need_cut = objective == "map"
-    stats = cluster_stats(g, state, need_cut) if stats is None else stats
-    bids = make_bids(g, state, stats, rnd, i, cfg, need_cut)
-    if need_cut:
-        return apply_moves(state, choose_map(bids, g, total_cut(stats), cfg))
-    gain = None
-    if objective.startswith("resolution:"):
-        gain = F.col("x") * float(g.total) - float(objective[11:]) * F.col("deg") * F.col("vol_wo")
-    return apply_moves(state, choose_modularity(bids, g, cfg, gain))
+    The trace has a row (level, round, sub_round, moved, clusters, score) a round, sub_round being their number; with
+    cfg.trace "sub_rounds" also one for each of these. Clusters and scores of those are of the state then.
+    """
+    measures = measures_of(objective)
+    if cfg.strategy not in ("edge_join", "broadcast_labels", "cluster_local"):
+        raise ValueError(f"unknown strategy {cfg.strategy!r}")
+    state = _kept(g, with_measures(g, labels, measures))
+    cut = _all_cuts(g, state) if "cut" in measures else None
+    size = None
+    if objective == "constant_size":  # the same for all sub-rounds
+        n = g.nodes.agg(F.sum("mass")).first()[0] or 0
+        size = F.col("x") * (float(n) * n / float(g.total or 1)) - F.col("mass") * F.col("size_wo")
+    trace = []
 
+    def note(rnd: int, i: int, moved: int) -> None:
+        trace.append((level, rnd, i, moved, state.select("c").distinct().count(), score_of(g, state, objective) if cfg.scores else math.nan))
 
-def local_moving(g: WeightedGraph, labels: DataFrame | None, cfg: Config, objective: str, level: int = 0) -> tuple[DataFrame, list[tuple]]:
-    """Rounds until nobody moves or the cap; the state is written once per round, with the count of moves taken from the written tables."""
-    state = snapshot(state_of(g, labels if labels is not None else singleton_labels(g)))
-    trace = []
     for rnd in range(cfg.max_rounds):
-        start = state
-        stale = snapshot(cluster_stats(g, state, objective == "map")) if cfg.stats == "per_round" else None
+        if rnd and cfg.stats == "per_round":
+            old, state = state, _kept(g, with_measures(g, state, measures))
+            cut = _all_cuts(g, state) if "cut" in measures else None
+            drop(old)
         moved = 0
         for i in range(cfg.sub_rounds):
-            new = snapshot(sub_round(g, state, rnd, i, cfg, objective, stale))
-            if state is not start:
-                drop(state)
-            state = new
-        moved = state.join(start.select("id", F.col("c").alias("was")), "id").where("c <> was").count()
-        clusters = state.select("c").distinct().count()
-        trace.append((level, rnd, cfg.sub_rounds, moved, clusters, math.nan))
-        drop(start, stale)
+            state, cut, n = _step(g, state, cut, rnd, i, cfg, objective, size)
+            moved += n
+            if cfg.trace == "sub_rounds":
+                note(rnd, i, n)
+        note(rnd, cfg.sub_rounds, moved)
         if not moved:
             break
-    return state.select("id", "c"), trace
+    return kept_by(state.select("id", "c"), state), trace

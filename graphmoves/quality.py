@@ -13,17 +13,27 @@ from graphmoves.plans.moving import cluster_stats, state_of
 
 
 def measures(g: WeightedGraph, labels: DataFrame) -> DataFrame:
-    """c, vol, inner, cut, size."""
+    """c, vol, inner, cut, members (nodes), size (their mass)."""
     return cluster_stats(g, state_of(g, labels), True)
 
 
-def modularity_frame(g: WeightedGraph, labels: DataFrame) -> DataFrame:
+def modularity_frame(g: WeightedGraph, labels: DataFrame, gamma: float = 1.0) -> DataFrame:
     w = float(g.total)
-    return measures(g, labels).agg(F.sum(F.col("inner") / w - (F.col("vol") / w) * (F.col("vol") / w)).alias("q"))
+    return measures(g, labels).agg(F.sum(F.col("inner") / w - gamma * (F.col("vol") / w) * (F.col("vol") / w)).alias("q"))
 
 
-def modularity(g: WeightedGraph, labels: DataFrame) -> float:
-    return modularity_frame(g, labels).first()[0]
+def modularity(g: WeightedGraph, labels: DataFrame, gamma: float = 1.0) -> float:
+    return modularity_frame(g, labels, gamma).first()[0]
+
+
+def constant_size_frame(g: WeightedGraph, labels: DataFrame) -> DataFrame:
+    """Share of weight inside clusters against a null model in which all pairs of nodes are equally likely: sum of inner / W - (size / N) ** 2."""
+    n = g.nodes.agg(F.sum("mass").cast("double").alias("n"))
+    return measures(g, labels).crossJoin(F.broadcast(n)).agg(F.sum(F.col("inner") / float(g.total) - (F.col("size") / F.col("n")) * (F.col("size") / F.col("n"))).alias("q"))
+
+
+def constant_size(g: WeightedGraph, labels: DataFrame) -> float:
+    return constant_size_frame(g, labels).first()[0]
 
 
 def node_term(g: WeightedGraph, base: float = math.e) -> DataFrame:
@@ -71,7 +81,7 @@ def adjusted_rand(one: DataFrame, two: DataFrame) -> float:
 def describe_clusters(g: WeightedGraph, labels: DataFrame) -> DataFrame:
     w = float(g.total)
     m = measures(g, labels)
-    return m.select("c", "size", "vol", "cut", (F.col("cut") / F.greatest(F.lit(1), F.least("vol", F.lit(g.total) - F.col("vol")))).alias("conductance"), (F.col("inner") / w).alias("coverage_part"))
+    return m.select("c", F.col("members").alias("size"), "vol", "cut", (F.col("cut") / F.greatest(F.lit(1), F.least("vol", F.lit(g.total) - F.col("vol")))).alias("conductance"), (F.col("inner") / w).alias("coverage_part"))
 
 
 def describe_graph(g: WeightedGraph) -> DataFrame:

@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from graphmoves.model import WeightedGraph, require
-from graphmoves.session import snapshot
+from graphmoves.session import bucketed, buckets_for, drop, snapshot
 
 
 def from_pairs(df: DataFrame, a: str = "a", b: str = "b", w: str | None = "w", keep: bool = True) -> WeightedGraph:
@@ -17,19 +17,26 @@ def from_pairs(df: DataFrame, a: str = "a", b: str = "b", w: str | None = "w", k
     merged = snapshot(merged) if keep else merged
     plain = merged.where("a <> b")
     edges = plain.selectExpr("a as src", "b as dst", "w").union(plain.selectExpr("b", "a", "w"))
-    return from_edges(edges, merged.where("a = b").selectExpr("a as id", "w as loop"), keep)
+    g = from_edges(edges, merged.where("a = b").selectExpr("a as id", "w as loop"), keep)
+    drop(merged if keep else None)
+    return g
 
 
 def from_edges(edges: DataFrame, loops: DataFrame | None = None, keep: bool = True) -> WeightedGraph:
-    """Symmetric edges and loops (id, loop); nodes without any edge don't occur."""
+    """Symmetric edges and loops (id, loop); nodes without any edge don't occur. Kept edges are bucketed by src, nodes by id."""
     edges = require(edges, ("src", "dst", "w"))
+    n = 0
+    if keep:
+        plain = snapshot(edges)
+        n = buckets_for(edges.sparkSession, plain.count())
+        edges = bucketed(plain, "src", n)
+        drop(plain)
     out = edges.groupBy(F.col("src").alias("id")).agg(F.sum("w").alias("out"))
     zero = F.lit(0).cast(edges.schema["w"].dataType)
     nodes = out.join(loops, "id", "full") if loops is not None else out.withColumn("loop", zero)
-    nodes = nodes.select("id", F.coalesce("loop", zero).alias("loop"), (F.coalesce("out", zero) + 2 * F.coalesce("loop", zero)).alias("deg"))
-    nodes = snapshot(nodes) if keep else nodes
-    edges = snapshot(edges.repartition("src")) if keep else edges
-    return WeightedGraph(edges, nodes, nodes.agg(F.sum("deg")).first()[0] or 0)
+    nodes = nodes.select("id", F.coalesce("loop", zero).alias("loop"), (F.coalesce("out", zero) + 2 * F.coalesce("loop", zero)).alias("deg"), F.lit(1).cast("long").alias("mass"))
+    nodes = bucketed(nodes, "id", n) if keep else nodes
+    return WeightedGraph(edges, nodes, nodes.agg(F.sum("deg")).first()[0] or 0, n)
 
 
 def dense_ids(ids: DataFrame, column: str = "id", order: str | None = None) -> DataFrame:
@@ -49,8 +56,9 @@ def dense_ids(ids: DataFrame, column: str = "id", order: str | None = None) -> D
 def relabel(g: WeightedGraph, ids: DataFrame) -> WeightedGraph:
     """The graph under new ids (id, dense)."""
     e = g.edges.join(ids.selectExpr("id as src", "dense as s"), "src").join(ids.selectExpr("id as dst", "dense as d"), "dst")
-    nodes = g.nodes.join(ids, "id").select(F.col("dense").alias("id"), "loop", "deg")
-    return WeightedGraph(snapshot(e.selectExpr("s as src", "d as dst", "w")), snapshot(nodes), g.total)
+    nodes = g.nodes.join(ids, "id").select(F.col("dense").alias("id"), "loop", "deg", "mass")
+    n = g.buckets or buckets_for(e.sparkSession, g.edges.count())
+    return WeightedGraph(bucketed(e.selectExpr("s as src", "d as dst", "w"), "src", n), bucketed(nodes, "id", n), g.total, n)
 
 
 def prepare(g: WeightedGraph, seed: int = 0, randomise: bool = True) -> tuple[WeightedGraph, DataFrame]:
