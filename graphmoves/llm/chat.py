@@ -3,7 +3,8 @@
 Control strings inside roles and texts are escaped reversibly: every backslash is doubled, then each
 "<|" becomes "<\\|" (a single backslash between "<" and "|" can't arise otherwise), and a role's line
 breaks become "<\\n|". Edge cases: null role or text is empty; rows of equal turn are ordered by role and
-text; repeated rows are turns of their own; a null conv_id is one conversation.
+text; repeated rows are turns of their own; a null conv_id is one conversation; an empty table gives no rows.
+A conversation is one value of its output, so it has to fit a row, whatever its number of turns.
 """
 
 from __future__ import annotations
