@@ -18,7 +18,7 @@ def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op2_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     own = spark.range(2).select(F.lit(-1).cast("long").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") == 0, "user").otherwise("assistant").alias("role"), F.lit(CONTROL).alias("text"))
     rows = read_table(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text").unionByName(own)
-    return chat.chat_digest(chat.format_chats(rows)).drop("valid")
+    return chat.chat_digest(chat.format_chats(rows))
 
 
 def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -31,7 +31,8 @@ def op4_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_progressive_jpeg(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return jpeg.read_media(jpeg.store_media(read_table(spark, sf_dir, "documents")))
+    """Digests, features and the full-resolution tensor (rgb: height x width x 3 bytes) of every stored text."""
+    return jpeg.read_media(jpeg.store_media(read_table(spark, sf_dir, "documents")), tensors=True)
 
 
 def op6_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -78,7 +79,8 @@ ORACLE_SQL = {
                sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
                CAST(coalesce(sum(length(text)) FILTER (role = 'assistant'), 0) AS BIGINT) AS loss_chars,
                sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (role = 'assistant'), '')) AS loss_sha256,
-               CAST(sum(length('<|im_start|>') + length(er) + 1 + length(et) + length('<|im_end|>') + 1) AS BIGINT) AS formatted_chars
+               CAST(sum(length('<|im_start|>') + length(er) + 1 + length(et) + length('<|im_end|>') + 1) AS BIGINT) AS formatted_chars,
+               regexp_full_match(string_agg(replace(role, ';', ':'), ';' ORDER BY turn, role, text), '(system;)?(user;assistant;)*user;assistant') AS valid
         FROM e GROUP BY conv_id""",
     "op4_sharding": """
         WITH RECURSIVE bytes AS (
