@@ -53,6 +53,35 @@ def _scaled(model: dict) -> tuple[np.ndarray, np.ndarray]:
     return model["table"] * scale, model["wh"] * scale[:, None]
 
 
+def gradients(m: dict, x: np.ndarray, weight: np.ndarray, y: np.ndarray) -> dict:
+    """Of the weighted mean cross-entropy over positions of bytes x (T, B) with labels y (B), by backpropagation through time."""
+    t, batch = x.shape
+    h = m["wh"].shape[2]
+    hs, gates = _cell(x, *_scaled(m), keep=True)
+    both = hs.reshape(t, 2 * h, batch)
+    logit = np.einsum("kh,thb->tkb", m["out"], both, optimize=True) + m["bias"][:, None]
+    p = np.exp(logit - logit.max(1, keepdims=True))
+    p /= p.sum(1, keepdims=True)
+    p[:, y, np.arange(batch)] -= 1
+    p *= (weight / max(1e-6, weight.sum()))[:, None]
+    g = {"out": np.einsum("tkb,thb->kh", p, both, optimize=True), "bias": p.sum((0, 2)), "table": np.zeros_like(m["table"]), "wh": np.zeros_like(m["wh"])}
+    dh_out = np.einsum("kh,tkb->thb", m["out"], p, optimize=True).reshape(t, 2, h, batch)
+    carry = np.zeros((2, h, batch), np.float32)
+    for i in range(t - 1, -1, -1):
+        r, z, c = gates[i]
+        prev = np.stack([hs[i - 1, 0], hs[t - i, 1]]) if i else np.zeros_like(carry)
+        dh = carry + np.stack([dh_out[i, 0], dh_out[t - 1 - i, 1]])
+        dc = dh * (1 - z) * (1 - c * c)
+        dz = dh * (prev - c) * z * (1 - z)
+        dr = dc * (m["wh"][:, 2 * h :] @ prev) * r * (1 - r)
+        into, back = np.concatenate([dr, dz, dc], 1), np.concatenate([dr, dz, dc * r], 1)
+        g["wh"] += back @ prev.transpose(0, 2, 1)
+        for d, xs in ((0, x[i]), (1, x[t - 1 - i])):
+            np.add.at(g["table"][d], xs, into[d].T)
+        carry = dh * z + m["wh"].transpose(0, 2, 1) @ back
+    return g
+
+
 def train(windows: list[bytes], labels: list[int], classes: int, hidden: int = 8, steps: int = 500, batch: int = 128, rate: float = 0.01, seed: int = 1) -> dict:
     """Adam on the mean cross-entropy of every position, by backpropagation through time."""
     rng = np.random.default_rng(seed)
@@ -70,31 +99,7 @@ def train(windows: list[bytes], labels: list[int], classes: int, hidden: int = 8
     for step in range(1, steps + 1):
         pick = rng.integers(0, len(y), batch)
         xb, wb = x[pick].T, (mask[pick] * weight[y[pick], None]).T
-        table, wh = _scaled(m)
-        hs, gates = _cell(xb, table, wh, keep=True)
-        both = hs.reshape(t, 2 * h, batch)
-        logit = np.einsum("kh,thb->tkb", m["out"], both, optimize=True) + m["bias"][:, None]
-        p = np.exp(logit - logit.max(1, keepdims=True))
-        p /= p.sum(1, keepdims=True)
-        p[:, y[pick], np.arange(batch)] -= 1
-        p *= (wb / max(1e-6, wb.sum()))[:, None]
-        g = {"out": np.einsum("tkb,thb->kh", p, both, optimize=True), "bias": p.sum((0, 2)), "table": np.zeros_like(m["table"]), "wh": np.zeros_like(m["wh"])}
-        dh_out = np.einsum("kh,tkb->thb", m["out"], p, optimize=True).reshape(t, 2, h, batch)
-        carry = np.zeros((2, h, batch), np.float32)
-        for i in range(t - 1, -1, -1):
-            r, z, c = gates[i]
-            prev = np.stack([hs[i - 1, 0], hs[t - i, 1]]) if i else np.zeros_like(carry)
-            dh = carry + np.stack([dh_out[i, 0], dh_out[t - 1 - i, 1]])
-            dc = dh * (1 - z) * (1 - c * c)
-            dz = dh * (prev - c) * z * (1 - z)
-            rec_c = m["wh"][:, 2 * h :] @ prev
-            dr = dc * rec_c * r * (1 - r)
-            into = np.concatenate([dr, dz, dc], 1)
-            back = np.concatenate([dr, dz, dc * r], 1)
-            g["wh"] += back @ prev.transpose(0, 2, 1)
-            for d, xs in ((0, xb[i]), (1, xb[t - 1 - i])):
-                np.add.at(g["table"][d], xs, into[d].T)
-            carry = dh * z + m["wh"].transpose(0, 2, 1) @ back
+        g = gradients(m, xb, wb, y[pick])
         norm = np.sqrt(sum(float((v * v).sum()) for v in g.values()))
         now = rate * (1 - 0.9 * step / steps)
         for k in m:
