@@ -9,7 +9,8 @@ lists that lie in more than one component get new lists, by the rarest values of
 sizes, and in these the members outside the list's largest component meet the others. A pair in one component needs no test, so no link is lost.
 Edge cases: null or wordless texts have the empty set, class of their own, linked with nothing; rows
 equal in id and text are one document, and rows that share an id are one node; rows without an id are a
-document per text, and their component_id is null unless a row with an id joins them.
+document per text, and their component_id is null unless a row with an id joins them; an empty table gives no
+rows; very long texts are held whole, one after another, as sets of hashes.
 """
 
 from __future__ import annotations
@@ -102,23 +103,28 @@ def probe_size(n: Column, percent: int, k: int) -> Column:
     return F.when(n < math.floor(t * k), exact).otherwise(sampled).cast("int")
 
 
-def near_duplicate_classes(docs: DataFrame, percent: int = 85, size: int = SHINGLE, k: int = K) -> DataFrame:
-    """d, tk, n, c: every document with its set size and the least d of its component (its own d if the set is empty)."""
+def near_duplicate_classes(docs: DataFrame, percent: int = 85, size: int = SHINGLE, k: int = K, exact: bool = False) -> DataFrame:
+    """d, tk, n, c: every document with its set size and the least d of its component (its own d if the set is empty).
+
+    exact: the rarest values of all full sets give candidates and no sketch rules any out, so no link can be lost, for
+    several times the rows. Else only members of open lists are treated so, and a sample decides about the others.
+    """
     own = snapshot(sketches(docs, size, k))  # documents that share an id are one node
     classes = own.where("s1 is not null").groupBy("s1", "s2").agg(F.min("d").alias("id"), F.min_by("tk", "d").alias("tk"), F.first("n").alias("n"), F.first("sketch").alias("sketch"))
     classes = snapshot(classes)
     probes = _probes(classes.select("id", F.col("tk").alias("tag"), "n", F.col("sketch").alias("vals")), probe_size(F.col("n"), percent, k))
-    known = snapshot(full_sets(_texts(docs, classes.select("id", "tk").join(probes.select("id").distinct(), "id")), size))
+    wanted = classes.select("id", "tk") if exact else classes.select("id", "tk").join(probes.select("id").distinct(), "id")
+    known = snapshot(full_sets(_texts(docs, wanted), size))
     info = classes.select("id", "n", "sketch")
 
     # small tables of their own, so that the joins' hot partitions can be split
     leaders = snapshot(probes.groupBy("v").agg(F.min("id").alias("a")))
     stars = probes.join(leaders, "v").where("a < id").select("a", F.col("id").alias("b")).distinct()
-    links = snapshot(_verified(stars, info, known, percent, k))
+    links = snapshot(_verified(stars, info, known, percent, k, exact))
     comp = components(links)
 
     # members of lists not yet in one component: now the rarest values of full sets decide, without a sample's slack
-    open_ids = _mixed(probes, comp).select("id").distinct()
+    open_ids = classes.select("id") if exact else _mixed(probes, comp).select("id").distinct()
     full = snapshot(known.join(open_ids, "id").select("id", F.xxhash64("shingles").alias("tag"), F.size("shingles").alias("n"), F.col("shingles").alias("vals")))
     lists = _mixed(_banded_probes(full, percent), comp)
     x = lists.where("c <> most").select("v", *[F.col(a).alias(a + "x") for a in ("id", "c", "band")])
@@ -126,7 +132,7 @@ def near_duplicate_classes(docs: DataFrame, percent: int = 85, size: int = SHING
     meet = x.join(y, "v").where("cx <> cy and (cy = most or idx < idy) and (same or bandx <> bandy)")
     meet = meet.select(F.col("idx").alias("x"), F.col("idy").alias("y"))
     rest = meet.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
-    more = _verified(rest, info, known, percent, k)
+    more = _verified(rest, info, known, percent, k, exact)
     every = components(links.select("a", "b").union(more.select("a", "b")))
 
     to_class = classes.select("s1", "s2", "id").join(every.select("id", "c"), "id", "left").select("s1", "s2", F.coalesce("c", "id").alias("c"))
@@ -182,15 +188,15 @@ def _texts(docs: DataFrame, wanted: DataFrame) -> DataFrame:
     return have.join(wanted.select(F.col("id").alias("d"), "tk"), ["d", "tk"], "left_semi").dropDuplicates(["d", "tk"]).select(F.col("d").alias("id"), "text")
 
 
-def _verified(pairs: DataFrame, info: DataFrame, known: DataFrame, percent: int, k: int) -> DataFrame:
-    """Pairs whose exact Jaccard reaches the percentage; the union sketch rules most others out before sets are joined."""
+def _verified(pairs: DataFrame, info: DataFrame, known: DataFrame, percent: int, k: int, exact: bool = False) -> DataFrame:
+    """Pairs whose exact Jaccard reaches the percentage; unless `exact`, the union sketch rules most others out before sets are joined."""
     side = lambda x, c, s: x.select(F.col("id").alias(s), *[F.col(y).alias(y + s) for y in c])
     own = pairs.join(side(info, ["n", "sketch"], "a"), "a").join(side(info, ["n", "sketch"], "b"), "b")
     union = F.slice(F.array_sort(F.array_union("sketcha", "sketchb")), 1, k)
     both = F.size(F.array_intersect(F.array_intersect(union, "sketcha"), "sketchb"))
     t = percent / 100
     low = F.when((F.col("na") <= k) & (F.col("nb") <= k) & (F.size(union) < k), F.lit(t - 1e-9)).otherwise(F.lit(t - 6 * math.sqrt(t * (1 - t) / k)))
-    near = own.where(100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")).where(both >= low * F.size(union)).select("a", "b").distinct()
+    near = own.where(100 * F.least("na", "nb") >= percent * F.greatest("na", "nb")).where(F.lit(True) if exact else both >= low * F.size(union)).select("a", "b").distinct()
     full = near.join(side(known, ["shingles"], "a"), "a").join(side(known, ["shingles"], "b"), "b")
     shared = F.size(F.array_intersect("shinglesa", "shinglesb"))
     sized = full.select("a", "b", shared.alias("i"), (F.size("shinglesa") + F.size("shinglesb")).alias("both"))
