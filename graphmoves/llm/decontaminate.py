@@ -9,7 +9,7 @@ coincidence. A document is contaminated if places that also agree with each othe
 an item's windows.
 Where an item has fewer words than a window, its whole template is its only window, one of that many
 words. Edge cases: null, empty and wordless texts match nothing; null item ids form one item;
-repeated rows are judged alike.
+repeated rows are judged alike; an empty table of documents gives no rows, an empty benchmark no leaks.
 """
 
 from __future__ import annotations
@@ -25,6 +25,8 @@ WINDOW = 8
 SHARE = 0.3
 UNITS = ("km", "m", "cm", "mm", "kg", "g", "mg", "l", "ml", "s", "sec", "seconds", "min", "minutes", "h", "hours", "days", "weeks", "months", "years", "percent", "dollars", "euros", "miles", "feet", "inches", "pounds", "degrees")
 BITS = 22
+#: Stands for the item without an id.
+NO_ITEM = -(2**62)
 _HASH = Rolling(fold_case=True, seed=9)
 _NUMBER, _NAME, _UNIT = (np.uint64(x) for x in (0x1111111111111111, 0x2222222222222222, 0x3333333333333333))
 _MULTIPLIERS = mix64(np.arange(1, 65, dtype=np.uint64))
@@ -121,7 +123,7 @@ def contaminations(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW,
     What is broadcast has a fixed size: a bitmap of 2 ** 22 bits that thins out document windows before
     the exact hash join.
     """
-    items = benchmark.select(F.coalesce(F.col("item_id").cast("long"), F.lit(-1)).alias("item"), F.xxhash64("text").alias("it"), "text").dropDuplicates(["item", "it"])
+    items = benchmark.select(F.coalesce(F.col("item_id").cast("long"), F.lit(NO_ITEM)).alias("item"), F.xxhash64("text").alias("it"), "text").dropDuplicates(["item", "it"])
     bench = windows_of(items, ["item", "it"], window, list(range(1, window)))
     bench = bench.persist()
     try:
@@ -135,7 +137,7 @@ def contaminations(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW,
     theirs = bench.select("item", "it", "g", F.col("pos").alias("ipos"), F.col("n").alias("item_windows"), F.col("slots").alias("islots"))
     hit = F.struct((F.col("pos") - F.col("ipos")).alias("place"), "ipos", F.arrays_zip(F.col("islots").alias("i"), F.col("slots").alias("v")).alias("pairs"))
     per = found.join(theirs, "g").where("ipos = 0 or not opening").groupBy("d", "tk", "item", "it", "item_windows").agg(F.collect_set(hit).alias("hits"))  # of one document and one item
-    return per.select("d", "tk", F.when(F.col("item") != -1, F.col("item")).alias("item_id"), "item_windows", "hits").mapInArrow(
+    return per.select("d", "tk", F.when(F.col("item") != NO_ITEM, F.col("item")).alias("item_id"), "item_windows", "hits").mapInArrow(
         _judge(share), "d long, tk long, item_id long, windows long, item_windows int, consistent boolean, leaked boolean")
 
 

@@ -309,14 +309,144 @@ def test_jpeg_general_scans():
     assert block[2] == 3 and block[3] == 1
 
 
+class ProgressiveWriter:
+    """A plain progressive encoder of its own: code tables of many symbols, end-of-band runs, refinement, restarts."""
+
+    def __init__(self, tall, wide, coef, interval):
+        self.tall, self.wide, self.coef, self.interval = tall, wide, coef, interval
+        self.out = bytearray(b"\xff\xd8" + self.segment(0xDB, b"\x00" + bytes([1] * 64)) + self.segment(0xDD, interval.to_bytes(2, "big")))
+        self.out += self.segment(0xC2, bytes([8]) + tall.to_bytes(2, "big") + wide.to_bytes(2, "big") + bytes([3, 1, 0x22, 0, 2, 0x11, 0, 3, 0x11, 0]))
+
+    @staticmethod
+    def segment(marker, body):
+        return bytes([0xFF, marker]) + (len(body) + 2).to_bytes(2, "big") + body
+
+    def units(self, comps):
+        """Blocks of each MCU of a scan, as (component, row, column)."""
+        if len(comps) == 1:
+            c, f = comps[0], 8 if comps[0] == 1 else 16
+            return [[(c, y, x)] for y in range(-(-self.tall // f)) for x in range(-(-self.wide // f))]
+        return [[(c, my * v + y, mx * v + x) for c in comps for v in ([2] if c == 1 else [1]) for y in range(v) for x in range(v)]
+                for my in range(-(-self.tall // 16)) for mx in range(-(-self.wide // 16))]
+
+    def scan(self, comps, lo, hi, high, low):
+        ops, run, held = [], 0, []  # ops: ("s", symbol), ("b", value, count) or ("r",)
+
+        def flush():
+            nonlocal run, held
+            if run:
+                n = run.bit_length() - 1
+                ops.extend([("s", n << 4), ("b", run - (1 << n), n)])
+            ops.extend(("b", b, 1) for b in held)
+            run, held = 0, []
+
+        last = dict.fromkeys(comps, 0)
+        for m, mcu in enumerate(self.units(comps)):
+            if m and m % self.interval == 0:
+                flush()
+                ops.append(("r",))
+                last = dict.fromkeys(comps, 0)
+            for c, y, x in mcu:
+                z = self.coef[c][y, x]
+                if lo == 0:
+                    v = int(z[0]) >> low
+                    if high:
+                        ops.append(("b", v & 1, 1))
+                        continue
+                    d, last[c] = v - last[c], v
+                    n = abs(d).bit_length()
+                    ops.extend([("s", n), ("b", d if d >= 0 else d + (1 << n) - 1, n)])
+                    continue
+                size = [abs(int(z[k])) >> low for k in range(64)]
+                zeros, fix = 0, []
+                final = max([k for k in range(lo, hi + 1) if size[k] == 1], default=0)
+                for k in range(lo, hi + 1):
+                    v = size[k]
+                    if v == 0:
+                        zeros += 1
+                        continue
+                    while zeros > 15 and (not high or k <= final):
+                        flush()
+                        ops.append(("s", 0xF0))
+                        ops.extend(("b", b, 1) for b in fix)
+                        zeros, fix = zeros - 16, []
+                    if high and v > 1:
+                        fix.append(v & 1)
+                        continue
+                    flush()
+                    n = v.bit_length()
+                    ops.append(("s", zeros << 4 | (1 if high else n)))
+                    ops.append(("b", int(z[k] > 0), 1) if high else ("b", v if z[k] > 0 else (1 << n) - 1 - v, n))
+                    ops.extend(("b", b, 1) for b in fix)
+                    zeros, fix = 0, []
+                if zeros or fix:
+                    run, held = run + 1, held + fix
+        flush()
+        symbols = sorted({o[1] for o in ops if o[0] == "s"})
+        lengths = [2, 3, *[10] * 300][: len(symbols)]
+        codes, code, was = {}, 0, 0
+        for s, n in zip(symbols, lengths, strict=True):
+            code <<= n - was
+            codes[s], code, was = (code, n), code + 1, n
+        if symbols:
+            self.out += self.segment(0xC4, bytes([(lo > 0) << 4, *[lengths.count(n) for n in range(1, 17)], *symbols]))
+        head = bytes([len(comps)]) + b"".join(bytes([c, 0]) for c in comps) + bytes([lo, hi, high << 4 | low])
+        self.out += self.segment(0xDA, head)
+        bits, marks = "", 0
+        for o in [*ops, ("r",)]:
+            if o[0] == "r":
+                bits += "1" * (-len(bits) % 8)
+                self.out += bytes(int(bits[i : i + 8], 2) for i in range(0, len(bits), 8)).replace(b"\xff", b"\xff\x00")
+                bits = ""
+                self.out += bytes([0xFF, 0xD0 + marks % 8])
+                marks += 1
+            else:
+                v, n = codes[o[1]] if o[0] == "s" else o[1:]
+                bits += f"{v:0{n}b}" if n else ""
+        del self.out[-2:]  # no restart behind the last interval
+
+
+@pytest.mark.parametrize("interval", [5, 1000])
+def test_jpeg_of_another_encoder(interval):
+    rng = np.random.default_rng(interval)
+    tall, wide = 37, 53  # neither fills its MCUs
+    coef = {c: np.zeros((6, 8, 64) if c == 1 else (3, 4, 64), np.int32) for c in (1, 2, 3)}
+    for c, z in coef.items():
+        rows, cols = (-(-tall // 8), -(-wide // 8)) if c == 1 else (3, 4)
+        z[..., 0] = rng.integers(-200, 200, z.shape[:2])
+        own = z[:rows, :cols, 1:]
+        own[:] = np.where(rng.random(own.shape) < rng.choice([0.0, 0.02, 0.4], (*own.shape[:2], 1)), rng.integers(-60, 61, own.shape), 0)
+    w = ProgressiveWriter(tall, wide, coef, interval)
+    w.scan([1, 2, 3], 0, 0, 0, 1)
+    for c in (2, 1, 3):
+        w.scan([c], 1, 5, 0, 2)
+        w.scan([c], 6, 63, 0, 2)
+    for c in (1, 2, 3):
+        w.scan([c], 1, 63, 2, 1)
+    w.scan([1, 2, 3], 0, 0, 1, 0)
+    for c in (1, 2, 3):
+        w.scan([c], 1, 63, 1, 0)
+    img = jpeg.decode_coefficients(bytes(w.out) + b"\xff\xd9")
+    for c in (1, 2, 3):
+        assert (img["coef"][c] == coef[c]).all(), c
+    nat = np.zeros((8, 8))
+    nat.reshape(-1)[jpeg.ZIGZAG] = coef[1][1, 2]
+    u = np.arange(8)
+    basis = np.where(u[:, None] == 0, np.sqrt(1 / 8), 0.5) * np.cos((2 * u + 1) * u[:, None] * np.pi / 16)
+    gray = jpeg.to_rgb({**img, "coef": {1: coef[1], 2: coef[2] * 0, 3: coef[3] * 0}})
+    assert gray.shape == (tall, wide, 3) and np.abs(gray[8:16, 16:24, 0] - np.clip(basis.T @ nat @ basis + 128, 0, 255)).max() <= 0.51
+
+
 def test_media_digest(spark, texts):
     ts = [*ODD, "abc" * 1000]
     for r in queries.jpeg.read_media(jpeg.store_media(texts(ts))).collect():
         raw = (ts[r.doc_id] or "").encode()
         p = raw.ljust(max(192, -(-len(raw) // 192) * 192), b" ")
         assert (r.n_bytes, r.payload_bytes, r.payload_sha256, r.tail_crc32) == (len(raw), len(p), hashlib.sha256(p).hexdigest(), zlib.crc32(p[-16:]))
-    full = jpeg.read_media(jpeg.store_media(texts(["hello"])), tensors=True).collect()[0]
-    assert len(full.rgb) == full.height * full.width * 3
+    long = jpeg.read_media(jpeg.store_media(texts(["hello", "é" * 400_000])), tensors=True).collect()
+    assert all(len(r.rgb) == r.height * r.width * 3 and r.feature.startswith(f"{r.height}x{r.width}:") and r.feature.endswith(f"{zlib.crc32(r.rgb):08x}") for r in long)
+    assert long[1].payload_sha256 == hashlib.sha256("é".encode() * 400_000 + b" " * (-800_000 % 192)).hexdigest()
+    assert jpeg.read_media(jpeg.store_media(texts([])), tensors=True).count() == 0
 
 
 # --- near duplicates -------------------------------------------------------------------------------
@@ -344,7 +474,8 @@ def brute_near(ts, percent):
     return [(len(s), find(i)) for i, s in enumerate(sets)]
 
 
-def test_near_duplicates_equal_brute_force(spark, texts):
+@pytest.mark.parametrize("exact", [False, True])
+def test_near_duplicates_equal_brute_force(spark, texts, exact):
     rng = random.Random(3)
     ts = []
     for size in (4, 6, 9, 40, 70, 200, 400):
@@ -361,7 +492,7 @@ def test_near_duplicates_equal_brute_force(spark, texts):
         ts.append(" ".join(chain[i * 3 : i * 3 + 60]))
     ts += ODD + [t.upper() for t in ts[:5]]
     want = brute_near(ts, 85)
-    got = {r.doc_id: r for r in neardup.near_duplicates(texts(ts)).collect()}
+    got = {r.doc_id: r for r in neardup.near_duplicates(texts(ts), exact=exact).collect()}
     assert [(got[i].n_shingles, got[i].component_id) for i in range(len(ts))] == want
     assert all(got[i].kept == (got[i].component_id == i) for i in got)
 
@@ -377,19 +508,46 @@ def test_one_of_each_keeps_columns_and_odd_ids(spark, docs):
 # --- language --------------------------------------------------------------------------------------
 
 
+def plain_states(x, m, d):
+    """States of one direction, written plainly in 64 bits; x (T, B)."""
+    h = m["wh"].shape[2]
+    s, out = np.zeros((x.shape[1], h)), []
+    for row in x if d == 0 else x[::-1]:
+        rec, into = s @ m["wh"][d].T, m["table"][d][row]
+        r, z = 1 / (1 + np.exp(-(into[:, :h] + rec[:, :h]))), 1 / (1 + np.exp(-(into[:, h : 2 * h] + rec[:, h : 2 * h])))
+        s = (1 - z) * np.tanh(into[:, 2 * h :] + r * rec[:, 2 * h :]) + z * s
+        out.append(s)
+    return np.array(out if d == 0 else out[::-1])
+
+
 def test_gradients_by_differences():
+    """Every parameter's gradient, in both directions, against differences of the plainly written loss."""
     rng = np.random.default_rng(1)
-    x = rng.integers(0, 256, (5, 2)).astype(np.uint8)
-    m = {"table": rng.normal(0, 0.5, (2, 256, 6)), "wh": rng.normal(0, 0.5, (2, 6, 2)), "out": rng.normal(size=(3, 4)), "bias": np.zeros(3)}
+    x, y, w = rng.integers(97, 101, (5, 3)).astype(np.uint8), np.array([0, 2, 1]), rng.random((5, 3)).astype(np.float32)
+    m = {"table": rng.normal(0, 0.5, (2, 256, 6)), "wh": rng.normal(0, 0.5, (2, 6, 2)), "out": rng.normal(size=(3, 4)), "bias": rng.normal(size=3)}
     m = {k: v.astype(np.float32) for k, v in m.items()}
     hs = langid._cell(x, *langid._scaled(m))
-    h = np.zeros((2, 2))
-    for i in range(5):  # forward direction, written plainly
-        rec, into = h @ m["wh"][0].T, m["table"][0][x[i]]
-        r, z = 1 / (1 + np.exp(-(into[:, :2] + rec[:, :2]))), 1 / (1 + np.exp(-(into[:, 2:4] + rec[:, 2:4])))
-        c = np.tanh(into[:, 4:] + r * rec[:, 4:])
-        h = (1 - z) * c + z * h
-        assert np.allclose(hs[i, 0], h.T, atol=1e-5)
+    for d in (0, 1):
+        assert np.allclose(hs[:, d].transpose(0, 2, 1), plain_states(x, m, d), atol=1e-5)
+
+    def loss(m):
+        h = np.concatenate([plain_states(x, m, d) for d in (0, 1)], 2)
+        logit = h @ m["out"].T + m["bias"]
+        p = np.exp(logit) / np.exp(logit).sum(2, keepdims=True)
+        return -(w * np.log(p[:, np.arange(3), y])).sum() / w.sum()
+
+    got = langid.gradients(m, x, w, y)
+    wide = {k: v.astype(np.float64) for k, v in m.items()}
+    for k, v in wide.items():
+        spots = [i for i in np.ndindex(v.shape) if k != "table" or 97 <= i[1] < 101]
+        for i in spots:
+            was = v[i]
+            v[i] = was + 1e-5
+            up = loss(wide)
+            v[i] = was - 1e-5
+            slope = (up - loss(wide)) / 2e-5
+            v[i] = was
+            assert got[k][i] == pytest.approx(slope, abs=2e-5), (k, i)
 
 
 def test_language_held_out_accuracy(spark):
@@ -426,6 +584,10 @@ def test_templates_catch_new_parameters(spark, texts):
     kept = decontaminate.decontaminated(texts(ts), bench)
     assert sorted(r.doc_id for r in kept.collect()) == [1, 2, 4, 5, 6] and kept.columns[1] == "text"
     assert decontaminate.decontaminated(texts(ts), bench.where("false")).count() == len(ts)
+    assert decontaminate.leaks(texts([]), bench).count() == 0 and decontaminate.decontaminated(texts([]), bench).count() == 0
+    odd = spark.createDataFrame([(-1, "the first of these two short items"), (None, "and another one without any id at all")], "item_id long, text string")
+    got = decontaminate.leaks(texts(["the first of these two short items", "and another one without any id at all"]), odd).collect()
+    assert {(r.doc_id, r.item_id) for r in got if r.leaked} == {(0, -1), (1, None)}
 
 
 def test_a_copy_counts_whatever_else_shares_its_template(spark, texts):
