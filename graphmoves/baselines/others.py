@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from graphmoves.baselines.sequential import Flow, _local, multilevel, sequential_cluster, sweep
+from graphmoves.baselines.sequential import MAX_EDGES, Flow, _local, multilevel, sequential_cluster, sweep
 from graphmoves.model import Config, Result, WeightedGraph
 from graphmoves.plans.levels import cluster, contract, unpack
 from graphmoves.session import drop, snapshot
@@ -58,6 +58,8 @@ def parallel_cluster(g: WeightedGraph, objective: str = "modularity", seed: int
     A part holds its nodes' edges and the labels around them; sums over whole clusters are joined to them.
     """
     kind = "modularity" if objective == "modularity" else "map"
+    if g.edges.count() > MAX_EDGES * (parts if kind == "modularity" else 1):
+        raise MemoryError("out of memory for one worker: a part holds its nodes' edges, with the map objective the whole graph")
     graph, members, level = g, [], 0
     while True:
         labels = graph.nodes.select("id", F.col("id").alias("c"))
@@ -98,18 +100,27 @@ def parallel_cluster(g: WeightedGraph, objective: str = "modularity", seed: int
             if not labels.join(old.withColumnRenamed("c", "o"), "id").where("c <> o").limit(1).count():
                 break
         if kind == "map":
-            labels = _parallel_map(graph, seed, parts, sweeps, flow if level == 0 else None)
+            labels = _parallel_map(graph, seed, parts, sweeps, flow)
         level += 1
         n, c = graph.nodes.count(), labels.select("c").distinct().count()
-        if n == c or level >= levels or (kind == "map" and level > 3):
+        if n == c or level >= levels:
             break
         graph, m = contract(graph, labels)
         members.append(m)
+        flow = flow and contract_flow(*flow, m)
     for m in reversed(members):
         labels = unpack(labels, m)
     return snapshot(labels)
 
 
+def contract_flow(flow: DataFrame, visit: DataFrame, members: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Flow between and visits of coarse nodes; what stays inside one is its loop."""
+    at = members.select(F.col("fine_id").alias("id"), F.col("coarse_id").alias("c"))
+    half = flow.join(at.selectExpr("id as src", "c as a"), "src").groupBy("a", "dst").agg(F.sum("f").alias("f"))
+    both = half.join(at.selectExpr("id as dst", "c as b"), "dst").groupBy(F.col("a").alias("src"), F.col("b").alias("dst")).agg(F.sum("f").alias("f"))
+    return snapshot(both), snapshot(visit.join(at, "id").groupBy(F.col("c").alias("id")).agg(F.sum("p").alias("p")))
+
+
 def _parallel_map(g: WeightedGraph, seed: int, parts: int, sweeps: int, flow) -> DataFrame:
     """Map objective: parts move in turn their own share of nodes, each on the whole flow with labels of the last sweep."""
     from graphmoves.baselines.sequential import _frame
@@ -146,17 +157,17 @@ def stale_map_standin(g: WeightedGraph, cfg: Config | None = None) -> Result:
 
 
 def label_propagation(g: WeightedGraph, iters: int = 5, labels: DataFrame | None = None, cap: int | None = None) -> DataFrame:
-    """Every node takes the label of largest weight around it, the smaller label at ties; with `cap` no label grows beyond that many nodes."""
+    """Every node takes the label of largest weight around it, the smaller label at ties; with `cap` about so many nodes of a label that has grown beyond keep it, the others their former one."""
     labels = labels if labels is not None else g.nodes.select("id", F.col("id").alias("c"))
-    for _ in range(iters):
+    for it in range(iters):
         seen = g.edges.join(labels.withColumnRenamed("id", "src"), "src").groupBy("dst", "c").agg(F.sum("w").alias("w"))
         best = seen.groupBy(F.col("dst").alias("id")).agg(F.max(F.struct("w", (-F.col("c")).alias("k"))).alias("b"))
         new = labels.withColumnRenamed("c", "o").join(best, "id", "left").select("id", F.coalesce(-F.col("b.k"), "o").alias("c"))
-        if cap:
-            from pyspark.sql import Window
-
-            rank = F.row_number().over(Window.partitionBy("c").orderBy(F.xxhash64("id")))
-            new = new.withColumn("c", F.when(rank <= cap, F.col("c")).otherwise(F.col("c") * 1000 + F.floor((rank - 1) / cap)))
+        if cap:  # the share of a label's nodes that fits keeps it, by hash; others stay where they are
+            size = new.groupBy("c").agg(F.count("*").alias("n")).where(F.col("n") > cap)
+            mark = F.pmod(F.xxhash64("id", F.lit(it)), F.lit(1 << 30)) / float(1 << 30)
+            new = new.join(size, "c", "left").join(labels.withColumnRenamed("c", "o"), "id")
+            new = new.select("id", F.when(F.col("n").isNull() | (mark * F.col("n") < cap), F.col("c")).otherwise(F.col("o")).alias("c"))
         labels = snapshot(new)
     return labels
 

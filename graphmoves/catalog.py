@@ -229,7 +229,8 @@ def _two_levels(objective: str, rounds: int = 1) -> str:
     return f"""WITH {O.graph_ctes(PLANTED)}, {first},
         own AS MATERIALIZED (SELECT id, dense_rank() OVER (ORDER BY c) - 1 AS c FROM {last}),
         edges2 AS MATERIALIZED (SELECT x.c AS src, y.c AS dst, sum(w) AS w FROM edges JOIN own x ON x.id = src JOIN own y ON y.id = dst WHERE x.c <> y.c GROUP BY 1, 2),
-        nodes2 AS MATERIALIZED (SELECT c AS id, sum(deg) AS deg FROM own JOIN nodes USING (id) GROUP BY 1),
+        inner2 AS MATERIALIZED (SELECT x.c AS id, sum(w) AS w FROM edges JOIN own x ON x.id = src JOIN own y ON y.id = dst WHERE x.c = y.c GROUP BY 1),
+        nodes2 AS MATERIALIZED (SELECT id, deg, CAST(coalesce(w, 0) // 2 AS HUGEINT) AS loop FROM (SELECT c AS id, sum(deg) AS deg FROM own JOIN nodes USING (id) GROUP BY 1) LEFT JOIN inner2 USING (id)),
         {second} SELECT own.id, z.c FROM own JOIN {end} z ON z.id = own.c"""
 
 
@@ -241,8 +242,15 @@ def multilevel_modularity_planted(s, d):
     return V.cluster(g, "modularity", replace(PORTABLE, max_rounds=1, max_levels=2)).labels
 
 
-@entry()
+@entry(_two_levels("map"))
 def multilevel_map_planted(s, d):
+    from dataclasses import replace
+
+    return V.cluster(planted(s, d), "map", replace(PORTABLE, max_rounds=1, max_levels=2)).labels
+
+
+@entry()
+def sync_map_planted(s, d):
     return V.sync_map(planted(s, d)).labels
 
 
@@ -258,6 +266,26 @@ def warm_start_usage(s, d):
     return V.cluster(g, "modularity", Config(max_levels=1), first).labels
 
 
+@entry()
+def constant_size_planted(s, d):
+    """Another density measure: a null model in which all pairs of nodes are equally likely."""
+    return V.cluster(planted(s, d), "constant_size", Config(max_levels=2, max_rounds=2)).labels
+
+
+@entry(_scored(PLANTED, O.TRUTH, "SELECT round(sum(inner_w / t::DOUBLE - (size / n::DOUBLE) * (size / n::DOUBLE)), 9) AS q FROM st, total, (SELECT count(*) AS n FROM nodes)"))
+def constant_size_planted_truth(s, d):
+    return Q.constant_size_frame(planted(s, d), graphs.planted_truth(s, d)).select(F.round("q", 9).alias("q"))
+
+
+@entry()
+def trace_sub_rounds_planted(s, d):
+    """Movers, clusters and score after every sub-round of two rounds."""
+    from graphmoves.model import TRACE
+
+    _, trace = M.local_moving(planted(s, d), None, Config(max_rounds=2, trace="sub_rounds", scores=True), "modularity")
+    return s.createDataFrame(trace, TRACE)
+
+
 @entry()
 def resolution_gamma_planted(s, d):
     """Another density measure: modularity with a resolution of 2."""
@@ -308,9 +336,7 @@ def pagerank_links_10it(s, d):
 for _name, _graph, _f in (
     ("seq_modularity_planted", "planted", lambda g: sequential_cluster(g, "modularity")),
     ("seq_map_planted", "planted", lambda g: sequential_cluster(g, "map")),
-    ("seq_map_directed_links", "links", lambda g: B.seq_map_directed(g)),
     ("parallel_modularity_planted", "planted", lambda g: B.parallel_cluster(g, "modularity")),
-    ("parallel_map_directed_links", "links", lambda g: B.parallel_cluster(g, "map", flow=B.walk(g.edges, g.nodes))),
     ("stale_map_standin_planted", "planted", lambda g: B.stale_map_standin(g, Config(max_rounds=2, max_levels=2)).labels),
     ("chunk_merge_range", "planted", lambda g: B.chunk_merge(g, 4, "range")),
     ("chunk_merge_lp", "planted", lambda g: B.chunk_merge(g, 4, "lp")),
@@ -319,6 +345,22 @@ for _name, _graph, _f in (
     QUERIES[_name] = lambda s, d, n=_graph, f=_f: f(graph(n)(s, d))
 
 
+def _arcs(s, d) -> DataFrame:
+    """Links in their own direction, from page to target."""
+    return snapshot(graphs.links(s, d).selectExpr("a as src", "b as dst", "w"))
+
+
+@entry()
+def seq_map_directed_links(s, d):
+    return B.seq_map_directed(graph("links")(s, d), 0, _arcs(s, d))
+
+
+@entry()
+def parallel_map_directed_links(s, d):
+    g = graph("links")(s, d)
+    return B.parallel_cluster(g, "map", flow=B.walk(_arcs(s, d), g.nodes))
+
+
 @entry()
 def lfr_small(s, d):
     return X.w14_lfr(s, 1000)
@@ -410,6 +452,29 @@ def sink_bucketed(s, d):
     return files.write_bucketed(trade(s, d).edges, f"edges_{uuid.uuid4().hex[:8]}", "src", 8)
 
 
+for _k in ("parquet", "csv", "json", "orc"):
+    QUERIES[f"sink_{_k}_labels"] = lambda s, d, k=_k: files.labels_there_and_back(graphs.planted_truth(s, d), f"{shared_folder(s)}/labels{uuid.uuid4().hex}", k)
+    ORACLE_SQL[f"sink_{_k}_labels"] = "SELECT c_custkey AS id, CAST(c_nationkey AS BIGINT) AS c FROM customer"
+
+
+@entry("SELECT c_custkey AS id, CAST(c_nationkey AS BIGINT) AS c FROM customer")
+def sink_noop(s, d):
+    """A run without output: the plan is executed, nothing is kept; the rows are those it had."""
+    t = graphs.planted_truth(s, d)
+    t.write.format("noop").mode("overwrite").save()
+    return t
+
+
+@entry(f"WITH {O.graph_ctes(O.GRAPH_SQL['links'])}, ids AS (SELECT id, row_number() OVER (ORDER BY id) - 1 AS k FROM nodes) SELECT x.k AS src, y.k AS dst, CAST(1 AS BIGINT) AS w FROM edges JOIN ids x ON x.id = src JOIN ids y ON y.id = dst")
+def scan_adjacency_format(s, d):
+    """A graph written in the adjacency format and read by the Python data source."""
+    g, _ = prepare(graph("links")(s, d), randomise=False)
+    path = f"{shared_folder(s).removeprefix('file:')}/graph{uuid.uuid4().hex}"
+    files.write_adjacency(g.edges, path, g.nodes.count())
+    s.dataSource.register(files.AdjacencySource)
+    return s.read.format("adjacency").option("path", path).load()
+
+
 @entry()
 def scan_sample(s, d):
     return trade(s, d).edges.sample(0.1, 7)
@@ -448,9 +513,15 @@ def stream_click_purchase(s, d):
     return S.run_to_end(S.clicks_then_purchases(_stream(s, d), late="3650 days"))
 
 
-@entry()
+_SESSIONS = """WITH m AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER w + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS opens FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)),
+    g AS (SELECT *, sum(opens) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS no FROM m)
+    SELECT min(ts) AS start, max(ts) + INTERVAL 30 MINUTE AS "end", user_id, count(*) AS n FROM g GROUP BY user_id, no"""
+
+
+@entry(_SESSIONS)
 def stream_sessions(s, d):
-    return S.run_to_end(S.sessions(_stream(s, d)))
+    out = S.run_to_end(S.sessions(_stream(s, d)), "complete")
+    return out.select(F.col("start").cast("timestamp_ntz").alias("start"), F.col("end").cast("timestamp_ntz").alias("end"), "user_id", "n")
 
 
 @entry()

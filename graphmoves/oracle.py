@@ -8,17 +8,17 @@ _SAME_ORDER = "SELECT a.{k} AS a, b.{k} AS b, count(*) AS w FROM lineitem a JOIN
 
 
 def planted_sql(mu: float = 0.4, seed: int = 7, degree: int = 20) -> str:
-    draws = round(degree / 2 * mu)
-    inside = U32.format(f"'in:' || a.c_custkey || ':' || b.c_custkey || ':{seed}'")
-    across = U32.format(f"'out:' || c_custkey || ':' || j || ':{seed}'")
+    inner, outer = round(degree / 2 * (1 - mu)), round(degree / 2 * mu)
+    draw = lambda kind: U32.format(f"'{kind}:' || x || ':' || j || ':{seed}'")
+    many = lambda n: f"(SELECT unnest(range(1, {n + 1})) AS j)"
     return f"""
-        SELECT DISTINCT a, b, CAST(1 AS BIGINT) AS w FROM (
-            SELECT a.c_custkey AS a, b.c_custkey AS b FROM customer a JOIN customer b ON a.c_nationkey = b.c_nationkey AND a.c_custkey < b.c_custkey
-            JOIN (SELECT c_nationkey, count(*) AS s FROM customer GROUP BY 1) n ON n.c_nationkey = a.c_nationkey
-            WHERE {inside} % 1000000 < (CASE WHEN s > 1 THEN least(1.0::DOUBLE, {(1 - mu) * degree}::DOUBLE / (s - 1)) ELSE 0 END) * 1000000
-            UNION ALL
-            SELECT least(x, y), greatest(x, y) FROM (
-                SELECT c_custkey AS x, {across} % (SELECT count(*) FROM customer) AS y FROM customer, (SELECT unnest(range(1, {draws + 1})) AS j)) WHERE x <> y)"""
+        WITH numbered AS (SELECT c_custkey AS x, c_nationkey AS k, row_number() OVER (ORDER BY c_nationkey, c_custkey) - 1 AS pos FROM customer),
+        spans AS (SELECT k, min(pos) AS lo, count(*) AS s FROM numbered GROUP BY k),
+        drawn AS (SELECT x, lo + {draw('in')} % s AS pos FROM numbered JOIN spans USING (k), {many(inner)}),
+        ends AS (
+            SELECT drawn.x, numbered.x AS y FROM drawn JOIN numbered USING (pos)
+            UNION ALL SELECT x, {draw('out')} % (SELECT count(*) FROM customer) AS y FROM numbered, {many(outer)})
+        SELECT DISTINCT least(x, y) AS a, greatest(x, y) AS b, CAST(1 AS BIGINT) AS w FROM ends WHERE x <> y"""
 
 
 _SHINGLES = """SELECT DISTINCT {i}, unnest(CASE WHEN len(ws) >= 5 THEN [array_to_string(ws[j : j + 4], ' ') FOR j IN range(1, len(ws) - 3)] ELSE [] END) AS g
@@ -53,13 +53,13 @@ TRUTH = "SELECT c_custkey AS id, CAST(c_nationkey AS BIGINT) AS c FROM customer"
 def graph_ctes(pairs: str, loops: str | None = None) -> str:
     return f"""pairs AS MATERIALIZED ({pairs}),
         edges AS MATERIALIZED (SELECT a AS src, b AS dst, CAST(w AS HUGEINT) AS w FROM pairs WHERE a <> b UNION ALL SELECT b, a, w FROM pairs WHERE a <> b),
-        nodes AS MATERIALIZED (SELECT src AS id, sum(w) AS deg FROM edges GROUP BY 1),
+        nodes AS MATERIALIZED (SELECT src AS id, sum(w) AS deg, CAST(0 AS HUGEINT) AS loop FROM edges GROUP BY 1),
         total AS MATERIALIZED (SELECT sum(deg) AS t FROM nodes)"""
 
 
 def stats_sql(labels: str) -> str:
-    return f"""SELECT v.c, v.vol, coalesce(i.w, 0) AS inner_w, v.vol - coalesce(i.w, 0) AS cut, v.size FROM
-        (SELECT c, sum(deg) AS vol, count(*) AS size FROM {labels} JOIN nodes USING (id) GROUP BY c) v
+    return f"""SELECT v.c, v.vol, coalesce(i.w, 0) + v.loops AS inner_w, v.vol - coalesce(i.w, 0) - v.loops AS cut, v.size FROM
+        (SELECT c, sum(deg) AS vol, sum(2 * loop) AS loops, count(*) AS size FROM {labels} JOIN nodes USING (id) GROUP BY c) v
         LEFT JOIN (SELECT x.c, sum(w) AS w FROM edges JOIN {labels} x ON x.id = src JOIN {labels} y ON y.id = dst WHERE x.c = y.c GROUP BY 1) i ON i.c = v.c"""
 
 
@@ -94,11 +94,11 @@ def rounds_ctes(objective: str, rounds: int, seed: int = 0, k: int = 4, start: s
                 score = "b.x * t - n.deg * (s.vol - CASE WHEN b.c = l.c THEN n.deg ELSE 0 END)"
                 src = f"{s}b b JOIN {s}s s ON s.c = b.c JOIN nodes n ON n.id = b.v JOIN {last} l ON l.id = b.v, total"
             else:
-                out.append(f"""{s}w AS MATERIALIZED (SELECT b.v, b.c, b.x, n.deg, l.c AS a, s.cut AS raw,
-                    s.vol - CASE WHEN b.c = l.c THEN n.deg ELSE 0 END AS vol, CASE WHEN b.c = l.c THEN s.cut - n.deg + 2 * b.x ELSE s.cut END AS cut
+                out.append(f"""{s}w AS MATERIALIZED (SELECT b.v, b.c, b.x, n.deg, n.loop, l.c AS a, s.cut AS raw,
+                    s.vol - CASE WHEN b.c = l.c THEN n.deg ELSE 0 END AS vol, CASE WHEN b.c = l.c THEN s.cut - n.deg + 2 * n.loop + 2 * b.x ELSE s.cut END AS cut
                     FROM {s}b b JOIN {s}s s ON s.c = b.c JOIN nodes n ON n.id = b.v JOIN {last} l ON l.id = b.v)""")
                 d = "t::DOUBLE"
-                out.append(f"""{s}g AS MATERIALIZED (SELECT *, (SELECT sum(cut) FROM {s}s) - max(CASE WHEN c = a THEN raw END) OVER w + max(CASE WHEN c = a THEN cut END) OVER w AS s0, cut + deg - 2 * x AS cu
+                out.append(f"""{s}g AS MATERIALIZED (SELECT *, (SELECT sum(cut) FROM {s}s) - max(CASE WHEN c = a THEN raw END) OVER w + max(CASE WHEN c = a THEN cut END) OVER w AS s0, cut + deg - 2 * loop - 2 * x AS cu
                     FROM {s}w WINDOW w AS (PARTITION BY v))""")
                 score = f"-round({p(f'(b.s0 - b.cut + b.cu) / {d}')} - 2 * ({p(f'b.cu / {d}')} - {p(f'b.cut / {d}')}) + ({p(f'(b.cu + b.vol + b.deg) / {d}')} - {p(f'(b.cut + b.vol) / {d}')}), 12)"
                 src = f"{s}g b JOIN {last} l ON l.id = b.v, total"

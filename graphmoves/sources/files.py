@@ -20,6 +20,12 @@ def read_edges(spark: SparkSession, path: str, kind: str = "parquet", schema: st
     return spark.read.schema(schema).format(kind).load(path)
 
 
+def labels_there_and_back(labels: DataFrame, path: str, kind: str) -> DataFrame:
+    """Labels written in a format and read again by their schema."""
+    write_edges(labels.select("id", "c"), path, kind)
+    return read_edges(labels.sparkSession, path, kind, "id long, c long")
+
+
 def write_bucketed(df: DataFrame, name: str, column: str, buckets: int = 16) -> DataFrame:
     """A table bucketed and sorted by a column, for joins without an exchange."""
     df.write.mode("overwrite").bucketBy(buckets, column).sortBy(column).saveAsTable(name)

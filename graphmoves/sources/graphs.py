@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from graphmoves.functions.columns import portable, power_law
 from graphmoves.session import snapshot, table
+from graphmoves.sources.build import dense_ids
 
 
 def trade(spark: SparkSession, d: str) -> DataFrame:
@@ -46,18 +47,23 @@ def geo(spark: SparkSession, d: str) -> DataFrame:
 
 
 def planted(spark: SparkSession, d: str, mu: float = 0.4, seed: int = 7, degree: int = 20) -> DataFrame:
-    """Customers: inside a nation by a hash rule, across by hashed partners; c_nationkey is the truth."""
-    c = table(spark, d, "customer").select(F.col("c_custkey").alias("x"), F.col("c_nationkey").alias("k"))
-    size = c.groupBy("k").agg(F.count("*").alias("s"))
-    two = c.join(c.withColumnRenamed("x", "y"), "k").where("x < y").join(F.broadcast(size), "k")
-    limit = F.when(F.col("s") > 1, F.least(F.lit(1.0), (1 - mu) * degree / (F.col("s") - 1))).otherwise(0.0) * 1_000_000
-    inside = two.where(portable(F.lit("in"), F.col("x"), F.col("y"), seed) % 1_000_000 < limit).select(F.col("x").alias("a"), F.col("y").alias("b"))
+    """Customers with hashed partners inside their nation and anywhere; c_nationkey is the truth. Linear in the customers.
+
+    Customers are numbered by nation and key, so a nation is a range of numbers and a partner in it a number drawn.
+    """
+    c = table(spark, d, "customer").select(F.struct(F.col("c_nationkey").cast("long").alias("k"), F.col("c_custkey").alias("x")).alias("kx"))
+    at = snapshot(dense_ids(c, "kx").select("kx.x", "kx.k", F.col("dense").alias("pos")))
+    spans = at.groupBy("k").agg(F.min("pos").alias("lo"), F.count("*").alias("s"))  # a row for each nation
+    inner, outer = round(degree / 2 * (1 - mu)), round(degree / 2 * mu)
+    many = lambda n: F.explode(F.sequence(F.lit(1), F.lit(max(1, n)))).alias("j")
+    drawn = at.join(F.broadcast(spans), "k").select("x", "lo", "s", many(inner)).where(f"{inner} > 0")
+    drawn = drawn.select("x", (F.col("lo") + portable(F.lit("in"), F.col("x"), F.col("j"), seed) % F.col("s")).alias("pos"))
+    inside = drawn.join(at.select("pos", F.col("x").alias("y")), "pos").select("x", "y")
     n = c.agg(F.count("*").alias("n"))
-    draws = round(degree / 2 * mu)
-    out = c.crossJoin(F.broadcast(n)).select("x", "n", F.explode(F.sequence(F.lit(1), F.lit(max(1, draws)))).alias("j")).where(f"{draws} > 0")
-    y = portable(F.lit("out"), F.col("x"), F.col("j"), seed) % F.col("n")
-    across = out.select("x", y.alias("y")).where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
-    return inside.union(across).distinct().select("a", "b", F.lit(1).cast("long").alias("w"))
+    out = at.crossJoin(F.broadcast(n)).select("x", "n", many(outer)).where(f"{outer} > 0")
+    across = out.select("x", (portable(F.lit("out"), F.col("x"), F.col("j"), seed) % F.col("n")).alias("y"))
+    pairs = inside.union(across).where("x <> y").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
+    return pairs.distinct().select("a", "b", F.lit(1).cast("long").alias("w"))
 
 
 def planted_truth(spark: SparkSession, d: str) -> DataFrame:
@@ -70,7 +76,7 @@ def usage(spark: SparkSession, d: str) -> DataFrame:
 
 
 def coactive(spark: SparkSession, d: str) -> DataFrame:
-    """Users active in the same hour in the same way; w counts hours and ways."""
+    """Users active in the same hour in the same way; w counts hours and ways. A dense graph by definition: its edges are all pairs of an hour, so it is for tables of few users only."""
     e = table(spark, d, "events").select("user_id", F.date_trunc("hour", "ts").alias("h"), "event_type").distinct()
     return e.join(e.withColumnRenamed("user_id", "u2"), ["h", "event_type"]).where("user_id < u2").groupBy(F.col("user_id").alias("a"), F.col("u2").alias("b")).agg(F.count("*").alias("w"))
 
@@ -103,7 +109,7 @@ def neardup(spark: SparkSession, d: str, least: int = 5, df_limit: int | None =
 
 
 def knn(spark: SparkSession, d: str, k: int = 5, block: int = 512) -> DataFrame:
-    """Union of k nearest by cosine; vectors in blocks of a fixed count, multiplied block by block."""
+    """Union of k nearest by cosine; vectors in blocks of a fixed count, multiplied block by block. Exact, hence every block meets every other: a generator for tests, quadratic in the vectors."""
     import numpy as np
     import pandas as pd
 
@@ -156,7 +162,7 @@ def lfr(spark: SparkSession, n: int, mu: float = 0.4, degree=(50, 10000, 2.0), c
     mean = (community[1] - community[0]) / math.log(community[1] / community[0]) if community[2] == 1 else (community[0] + community[1]) / 2
     count = math.ceil(n / mean * 1.5) + 8
     sizes = spark.range(count).select(F.col("id").alias("c"), power_law(u("id", F.lit("size")), *community).cast("long").alias("s"))
-    part = Window.partitionBy(F.lit(0)).orderBy("c")  # one row per community
+    part = Window.partitionBy(F.lit(0)).orderBy("c")  # one row per community, n / mean size of them
     spans = sizes.select("c", (F.sum("s").over(part) - F.col("s")).alias("lo"), F.sum("s").over(part).alias("hi")).where(f"lo < {n}")
     spans = spans.select("c", F.explode(F.sequence(F.col("lo"), F.least("hi", F.lit(n)) - 1)).alias("id"))
     nodes = spans.select("id", "c", power_law(u("id", F.lit("deg")), *degree).cast("long").alias("k"))

@@ -2,14 +2,14 @@
 
 from __future__ import annotations
 
-import tempfile
+import uuid
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from graphmoves.session import table
+from graphmoves.session import shared_folder, table
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -28,6 +28,7 @@ def usage_windows(events: DataFrame, size: str = "1 hour", slide: str | None = N
 
 
 def sessions(events: DataFrame, gap: str = "30 minutes", late: str = "1 day") -> DataFrame:
+    """Sessions of each user. A stream appends a session once the watermark has passed its end; in complete mode open ones show too."""
     own = events.withWatermark("ts", late) if events.isStreaming else events
     return own.groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "user_id", "n")
 
@@ -48,7 +49,8 @@ def running_degree(events: DataFrame) -> DataFrame:
 
 
 def with_static(events: DataFrame, labels: DataFrame) -> DataFrame:
-    return events.join(F.broadcast(labels), events.user_id == labels.id, "left").select("event_id", "user_id", "c")
+    """Labels of users beside their events; Spark broadcasts the labels only below its own size limit."""
+    return events.join(labels, events.user_id == labels.id, "left").select("event_id", "user_id", "c")
 
 
 def clicks_then_purchases(events: DataFrame, within: str = "1 hour", late: str = "1 day") -> DataFrame:
@@ -61,22 +63,20 @@ def clicks_then_purchases(events: DataFrame, within: str = "1 hour", late: str =
 
 
 def run_to_end(df: DataFrame, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """Process what there is, into files (append) or memory (other modes), and read it back."""
+    """Process what there is into files in the shared folder, and read them back: all rows of append and update mode, the last result of complete mode."""
     spark = df.sparkSession
-    at = checkpoint or f"{_folder(spark)}/stream{id(df)}"
+    at = checkpoint or f"{shared_folder(spark)}/stream{uuid.uuid4().hex}"
     w = df.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{at}/checkpoint")
     if mode == "append":
         w.format("parquet").option("path", f"{at}/out").start().awaitTermination()
         return spark.read.schema(df.schema).parquet(f"{at}/out")
-    name = f"stream_{abs(hash(at))}"
-    w.format("memory").queryName(name).start().awaitTermination()
-    return spark.table(name)
 
 
-def _folder(spark: SparkSession) -> str:
-    from graphmoves.session import shared_folder
+    def keep(out: DataFrame, number: int) -> None:
+        out.write.mode("overwrite" if mode == "complete" else "append").parquet(f"{at}/out")
 
-    return shared_folder(spark) or tempfile.mkdtemp()
+    w.foreachBatch(keep).start().awaitTermination()
+    return spark.read.schema(df.schema).parquet(f"{at}/out")
 
 
 def cluster_batches(events: DataFrame, cfg=None, on_labels=None) -> list[dict]:
@@ -101,7 +101,7 @@ def cluster_batches(events: DataFrame, cfg=None, on_labels=None) -> list[dict]:
         if on_labels:
             on_labels(seen["labels"], number)
 
-    events.writeStream.foreachBatch(batch).trigger(availableNow=True).option("checkpointLocation", f"{_folder(events.sparkSession)}/batches{id(events)}").start().awaitTermination()
+    events.writeStream.foreachBatch(batch).trigger(availableNow=True).option("checkpointLocation", f"{shared_folder(events.sparkSession)}/batches{uuid.uuid4().hex}").start().awaitTermination()
     return seen["log"]
 
 
