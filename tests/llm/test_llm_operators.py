@@ -646,6 +646,65 @@ def test_leaks_on_table(spark):
     assert want and {(r.doc_id, r.item_id) for r in queries.op9_decontamination(spark, sf).collect()} == want
 
 
+def plain_template(text):
+    """(typed word, word where its own number only is typed, slot value or None) of each word, in plain Python."""
+    import re
+
+    out, before = [], None  # before: end and last byte of the word before, and if it was a number
+    raw = (text or "").encode()
+    for m in re.finditer(rb"[^\x20\x09-\x0D]+", raw):
+        core = re.sub(rb"^[^0-9A-Za-z\x80-\xff]+|[^0-9A-Za-z\x80-\xff]+$", b"", m[0])
+        if not core:
+            continue
+        opens = before is None or before[1] in b".!?:" or b"\n" in raw[before[0] : m.start()]
+        small = bool(re.search(rb"[a-z\x80-\xff]", core))
+        number = bool(re.search(rb"[0-9]", core)) and not re.search(rb"[A-Za-z\x80-\xff]", core)
+        name = core[:1].isalpha() and core[:1].isupper() and not opens and small
+        folded = bytes(b + 32 if 65 <= b <= 90 else b for b in core)
+        unit = before is not None and before[2] and folded.decode("utf-8", "replace") in decontaminate.UNITS
+        kind = "<number>" if number else "<name>" if name else "<unit>" if unit else folded
+        out.append((kind, "<number>" if number else folded, core.decode("utf-8", "replace").lower() if number or name or unit else None))
+        before = (m.end(), m[0][-1:], number)
+    return out
+
+
+def test_templates_on_table_equal_plain_python(spark):
+    docs, bench = read_table(spark, SF, "documents"), read_table(spark, SF, "benchmark")
+    items = {}
+    for r in bench.collect():
+        w = plain_template(r.text)
+        n = min(decontaminate.WINDOW, len(w))
+        for i in range(len(w) - n + 1 if w else 0):
+            items.setdefault(tuple(x[0] for x in w[i : i + n]), []).append((r.item_id, i, max(1, len(w) - decontaminate.WINDOW + 1), [x[2] for x in w[i : i + n] if x[2] is not None]))
+    sizes, want = {len(k) for k in items}, {}
+    for r in docs.collect():
+        w = plain_template(r.text)
+        for n in sizes:
+            for q in range(len(w) - n + 1):
+                key = tuple(x[0] for x in w[q : q + n])
+                opening = (w[q][1], *key[1:])
+                for found, skip in [(key, 0), *([(opening, 1)] if opening != key else [])]:
+                    for item, i, many, slots in items.get(found, ()):
+                        if i == 0 or not skip:
+                            own = [x[2] for x in w[q + skip : q + n] if x[2] is not None]
+                            want.setdefault((r.doc_id, item, many), []).append({"place": q - i, "ipos": i, "pairs": [{"i": a, "v": b} for a, b in zip(slots, own, strict=False)]})
+    judged = {k: (decontaminate.agreeing_windows(h, max(1.0, decontaminate.SHARE * k[2])), max(1.0, decontaminate.SHARE * k[2])) for k, h in want.items()}
+    got = {(r.doc_id, r.item_id, r.item_windows): (r.windows, r.consistent, r.leaked) for r in decontaminate.leaks(docs, bench).collect()}
+    assert got == {k: (n, c, c and n >= need) for k, ((n, c), need) in judged.items()} and any(x[2] for x in got.values())
+
+
+def test_stages_take_clashing_columns(spark, docs):
+    names = ["d", "tk", "g", "doc", "lang_pred", "score", "spans", "lo", "kept"]
+    rows = [(i, "the house and the garden of the town are here", "en", "s", 1, *[7] * len(names)) for i in range(3)]
+    own = docs(rows, "".join(f", {n} long" for n in names))
+    bench = spark.createDataFrame([(1, "nothing like it")], "item_id long, text string")
+    m, langs = langid.train([b"the and of to", b"der die das und"] * 4, [0, 1] * 4, 2, hidden=3, steps=5), ["en", "de"]
+    assert langid.predict_language(own, m, langs).selectExpr("doc.*").columns == own.columns
+    for out in (langid.keep_known_language(own), decontaminate.decontaminated(own, bench), suffix_repeats.without_repeats(own, 60), neardup.one_of_each(own)):
+        assert out.columns == own.columns and {r.d for r in out.collect()} == {7}
+    assert packing.pack_documents(own).selectExpr("count(distinct doc_id)").first()[0] == 3
+
+
 # --- packing ---------------------------------------------------------------------------------------
 
 
