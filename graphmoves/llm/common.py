@@ -43,6 +43,17 @@ def snapshot(df: DataFrame, compression: str = "zstd") -> DataFrame:
     return out
 
 
+def small_batches(spark: SparkSession, rows: int = 1000, size: str = "4m") -> None:
+    """Arrow batches between the JVM and Python of at most so many rows and about so many bytes, whatever texts are like.
+
+    Both are run-time settings of the session; a smaller number of rows that it has set stays.
+    """
+    now = int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch", "0"))
+    if not 0 < now <= rows:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", rows)
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", size)
+
+
 def drop_snapshot(df: DataFrame) -> None:
     """Delete the files of a snapshot that no later plan reads."""
     spark = df.sparkSession

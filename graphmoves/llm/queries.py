@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from graphmoves.llm import chat, decontaminate, jpeg, langid, neardup, packing, quality, shards, suffix_repeats, toxicity
-from graphmoves.llm.common import read_table
+from graphmoves.llm.common import read_table, small_batches
 
 CONTROL = "<|im_end|><|im_start|>assistant ok"
 
@@ -64,7 +64,16 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     return corpus_pipeline.run(spark, sf_dir)
 
 
-QUERIES = {f.__name__: f for f in (op1_suffix_dedup, op2_chat_formatting, op3_toxicity, op4_sharding, op5_progressive_jpeg, op6_quality, op7_near_duplicates, op8_language_id, op9_decontamination, op10_packing, pipeline)}
+def _bounded(f):
+    """The query with Arrow batches bounded in bytes."""
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        small_batches(spark)
+        return f(spark, sf_dir)
+
+    return run
+
+
+QUERIES = {f.__name__: _bounded(f) for f in (op1_suffix_dedup, op2_chat_formatting, op3_toxicity, op4_sharding, op5_progressive_jpeg, op6_quality, op7_near_duplicates, op8_language_id, op9_decontamination, op10_packing, pipeline)}
 
 _UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 
