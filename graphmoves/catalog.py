@@ -532,7 +532,30 @@ def stream_cluster_batches(s, d):
 
 # --- experiments (small settings) ------------------------------------------------------------------
 
+FLAT = ("sync_modularity_flat",)
+
+
+def _links_study(s, d, algos=("sync_modularity_flat", "seq_modularity", "seq_map", "label_propagation"), seeds=range(1)):
+    return X.w7_times(s, d, ("links",), algos, seeds)
+
+
+def _a10(s, d):
+    """One size on this machine stands for one host."""
+    study = X.w1_weak_scaling(s, [d], algos=FLAT)
+    return X.weak_scaling(study.runs(), study.runs().select("graph", F.lit(1).alias("hosts")).distinct())
+
+
 for _name, _f in (
+    ("w2_truth", lambda s, d: X.w2_truth(X.w1_weak_scaling(s, [d], algos=("sync_modularity_flat", "sync_map")))),
+    ("w4_mu_sweep", lambda s, d: X.w4_mu_sweep(s, d, (0.2, 0.5, 0.8), ("sync_modularity_flat", "seq_modularity", "seq_map")).runs()),
+    ("w7_times", lambda s, d: _links_study(s, d).runs()),
+    ("w8_scores", lambda s, d: X.w8_scores(_links_study(s, d))),
+    ("w11_contraction", lambda s, d: X.w11_contraction(s, d, ("links",)).runs()),
+    ("a8_stability", lambda s, d: _links_study(s, d, FLAT, range(2)).stability()),
+    ("a9_mean_times", lambda s, d: X.mean_times(_links_study(s, d, ("seq_modularity", "label_propagation"), range(3)).runs())),
+    ("a10_weak_scaling", _a10),
+    ("a11_ratio_table", lambda s, d: X.ratio_table(_links_study(s, d).runs(), "sync_modularity_flat")),
+    ("a12_used_by", lambda s, d: X.used_by(_links_study(s, d).runs())),
     ("w1_weak_scaling", lambda s, d: X.w1_weak_scaling(s, [d], algos=("sync_modularity_flat",)).runs()),
     ("w5_score_contestants", lambda s, d: X.w5_score_contestants(s, d, (0.4,))),
     ("w6_hub_growth", lambda s, d: X.w6_hub_growth(s, d, "planted")),

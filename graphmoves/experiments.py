@@ -25,6 +25,7 @@ ALGOS = {
     "sync_map_flat": ("map", lambda g, c: V.sync_map_flat(g, c).labels),
     "seq_modularity": ("modularity", lambda g, c: sequential_cluster(g, "modularity", c.seed)),
     "seq_map": ("map", lambda g, c: sequential_cluster(g, "map", c.seed)),
+    "sync_constant_size": ("constant_size", lambda g, c: V.cluster(g, "constant_size", c).labels),
     "seq_map_directed": ("map", lambda g, c: B.seq_map_directed(g, c.seed)),
     "parallel_modularity": ("modularity", lambda g, c: B.parallel_cluster(g, "modularity", c.seed)),
     "parallel_map_directed": ("map", lambda g, c: B.parallel_cluster(g, "map", c.seed, flow=B.walk(g.edges, g.nodes))),
@@ -37,6 +38,19 @@ ALGOS = {
 }
 
 
+def executor_totals(spark: SparkSession) -> dict[str, int]:
+    """Bytes that all executors have written and read in shuffles so far, and the largest heap any has had, if they report it."""
+    rows = spark._jsc.sc().statusStore().executorList(False)
+    out = {"shuffle_write_bytes": 0, "shuffle_read_bytes": 0, "peak_heap_bytes": 0}
+    for i in range(rows.size()):
+        x = rows.apply(i)
+        out["shuffle_write_bytes"] += x.totalShuffleWrite()
+        out["shuffle_read_bytes"] += x.totalShuffleRead()
+        if x.peakMemoryMetrics().isDefined():
+            out["peak_heap_bytes"] = max(out["peak_heap_bytes"], x.peakMemoryMetrics().get().getMetricValue("JVMHeapMemory"))
+    return out
+
+
 class Study:
     """Runs algorithms over seeds, keeps labels, times them; reports are aggregates of its runs."""
 
@@ -47,15 +61,16 @@ class Study:
         for algo in algos:
             objective, f = ALGOS[algo]
             for seed in seeds:
-                began = time.perf_counter()
+                before, began = executor_totals(self.spark), time.perf_counter()
                 try:
                     labels = snapshot(f(g, replace(self.cfg, seed=seed, **params)))
                 except MemoryError:
                     self.rows.append((name, algo, objective, seed, {"error": "out of memory"}, None, None, None, None, None))
                     continue
-                s = time.perf_counter() - began
+                s, after = time.perf_counter() - began, executor_totals(self.spark)
                 self.labels[name, algo, seed, str(params)] = labels
-                self.rows.append((name, algo, objective, seed, {k: str(v) for k, v in params.items()}, s, Q.modularity(g, labels), Q.map_equation(g, labels),
+                used = {k: str(after[k] - (before[k] if k.startswith("shuffle") else 0)) for k in after}
+                self.rows.append((name, algo, objective, seed, {k: str(v) for k, v in params.items()} | used, s, Q.modularity(g, labels), Q.map_equation(g, labels),
                                   labels.select("c").distinct().count(), Q.adjusted_rand(truth, labels) if truth is not None else None))
         return self
 
@@ -90,6 +105,19 @@ def ratio_table(runs: DataFrame, base: str) -> DataFrame:
     return m.join(m.where(F.col("algo") == base).select("graph", F.col("mean").alias("base")), "graph").select("graph", "algo", (F.col("mean") / F.col("base")).alias("ratio"))
 
 
+def weak_scaling(runs: DataFrame, hosts: DataFrame, base: int = 1) -> DataFrame:
+    """Efficiency of each algorithm: its mean time on `base` hosts over that on more, at as many nodes a host. hosts: (graph, hosts)."""
+    m = mean_times(runs).join(hosts, "graph").select("algo", "hosts", "mean")
+    one = m.where(F.col("hosts") == base).select("algo", F.col("mean").alias("base"))
+    return m.join(one, "algo").select("algo", "hosts", "mean", (F.col("base") / F.col("mean")).alias("efficiency"))
+
+
+def used_by(runs: DataFrame) -> DataFrame:
+    """Mean bytes shuffled and the largest heap of each algorithm on each graph, and runs that didn't fit."""
+    v = lambda k: F.try_element_at("params", F.lit(k)).cast("double")
+    return runs.groupBy("graph", "algo").agg(F.avg(v("shuffle_write_bytes")).alias("shuffle_write_bytes"), F.max(v("peak_heap_bytes")).alias("peak_heap_bytes"), F.sum(F.col("seconds").isNull().cast("int")).alias("out_of_memory"))
+
+
 SYNC = ("sync_modularity", "sync_modularity_flat", "sync_map")
 EVERY = (*SYNC, "seq_modularity", "parallel_modularity", "seq_map", "seq_map_directed", "parallel_map_directed", "stale_map_standin")
 

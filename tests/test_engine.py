@@ -60,11 +60,75 @@ def test_contraction_keeps_scores(spark):
     assert Q.adjusted_rand(V.unpack(own, members), l) == 1
 
 
+def test_measures_kept_equal_measures_from_scratch(spark):
+    """Volumes and cuts after each sub-round of simultaneous moves, on a weighted graph with loops."""
+    rng = random.Random(6)
+    pairs = [(a, b, rng.randrange(1, 6)) for a, b in itertools.combinations(range(24), 2) if rng.random() < 0.25] + [(v, v, 2) for v in range(0, 24, 5)]
+    g, cfg = graph(spark, pairs), Config(sub_rounds=2, hash_kind="portable")
+    state = M._kept(g, M.with_measures(g, None, ("vol", "cut")))
+    cut = M._all_cuts(g, state)
+    moved = 0
+    for i in range(3):
+        state, cut, n = M._step(g, state, cut, i // 2, i % 2, cfg, "map", None)
+        moved += n
+        kept = {tuple(r) for r in state.select("c", "vol", "cut").distinct().collect()}
+        assert kept == {tuple(r) for r in M.cluster_stats(g, M.state_of(g, state), True).select("c", "vol", "cut").collect()}
+        assert cut == sum(r[2] for r in kept)
+    assert moved > 10
+
+
+def test_sub_round_shuffles_active_edges_only(spark, monkeypatch):
+    """Of edge-size data one exchange, to the active node; neither edges nor state move for the join by src."""
+    from graphmoves import session
+
+    monkeypatch.setattr(session, "BUCKET_ROWS", 4)
+    was = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", -1)
+    try:
+        g = graph(spark, TRIANGLES)
+        assert g.buckets > 1
+        for objective, measures, cut in (("modularity", ("vol",), None), ("map", ("vol", "cut"), 14)):
+            state = M._kept(g, M.with_measures(g, None, measures))
+            plan = M.choose(M.make_bids(g, state, None, 0, 0, Config(), measures), g, objective, Config(), cut)._jdf.queryExecution().executedPlan().toString()
+            assert plan.count("Exchange") == 1 and "Exchange hashpartitioning(v" in plan and "SortMergeJoin [src" in plan, plan
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", was)
+
+
+def test_objectives_and_options(spark):
+    g = graph(spark, TRIANGLES)
+    for bad in ("modularty", "resolution", "map:2"):
+        with pytest.raises(ValueError, match="unknown objective"):
+            M.local_moving(g, None, Config(), bad)
+    with pytest.raises(ValueError, match="unknown strategy"):
+        M.local_moving(g, None, Config(strategy="guess"), "modularity")
+    plan = lambda b: M.make_bids(g, M.with_measures(g, None, ("vol",)), None, 0, 0, Config(strategy="broadcast_labels", broadcast_bytes=b))._jdf.queryExecution().optimizedPlan().toString()
+    assert "strategy=broadcast" in plan(1 << 20) and "strategy=broadcast" not in plan(1)
+    # a star of heavy weights: sizes, not volumes, hold clusters apart
+    l = labels(spark, [0, 0, 0, 3, 3, 3])
+    assert Q.constant_size(g, l) == pytest.approx(12 / 14 - 2 * (3 / 6) ** 2)
+    c, members = V.contract(g, l)
+    assert Q.constant_size(c, c.nodes.select("id", F.col("id").alias("c"))) == pytest.approx(Q.constant_size(g, l))
+    bids = M.make_bids(g, M.with_measures(g, l, ("size",)), None, 0, 0, Config(sub_rounds=1), ("size",)).collect()
+    base = {r.v: r.x * 36 / 14 - r.size_wo for r in bids if r.is_own}
+    for r in bids:
+        new = [0, 0, 0, 3, 3, 3]
+        new[r.v] = r.c
+        assert 2 * (r.x * 36 / 14 - r.size_wo - base[r.v]) / 36 == pytest.approx(Q.constant_size(g, labels(spark, new)) - Q.constant_size(g, l), abs=1e-9)
+
+
+def test_label_cap_keeps_groups_apart(spark):
+    """No node gets a label that isn't a node's around it or its own, however large labels are."""
+    g = graph(spark, [(0, i) for i in range(1, 9)] + [(1000 + i, 1001 + i) for i in range(4)])
+    out = {r.id: r.c for r in B.label_propagation(g, 3, cap=2).collect()}
+    assert all((c < 9) == (v < 9) for v, c in out.items()) and len(out) == 14
+
+
 def test_single_edge_swaps_and_settles(spark):
     g = graph(spark, [(0, 1)])
     for objective in ("modularity", "map"):
-        _, trace = M.local_moving(g, None, Config(sub_rounds=1, hash_kind="portable"), objective)
-        assert [t[3] for t in trace] == [2] * 8
+        _, trace = M.local_moving(g, None, Config(sub_rounds=1, max_rounds=3, hash_kind="portable"), objective)
+        assert [t[3] for t in trace] == [2] * 3
         out, trace = M.local_moving(g, None, Config(hash_kind="portable"), objective)
         assert [t[3] for t in trace] == [1, 0] and out.select("c").distinct().count() == 1
 
