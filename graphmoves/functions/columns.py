@@ -16,6 +16,24 @@ def portable(*parts: Column | str | int) -> Column:
     return F.conv(F.substring(F.md5(F.concat_ws(":", *cols)), 1, 8), 16, 10).cast("long")
 
 
+def activation_sql(v: str, rnd: int, seed: int, k: int, kind: str = "fast") -> str:
+    """`activation` as SQL text; moving phases are built of texts, which cost one call to the JVM each."""
+    return f"{portable_sql(v, rnd, seed)} % {k}" if kind == "portable" else f"pmod(xxhash64({v}, {rnd}, {seed}), {k})"
+
+
+def tie_sql(c: str, v: str, seed: int, kind: str = "fast") -> str:
+    return portable_sql(c, seed, between=v) if kind == "portable" else f"xxhash64({c}, {v}, {seed})"
+
+
+def portable_sql(v: str, *numbers: int, between: str | None = None) -> str:
+    parts = [v, *([between] if between else []), *[f"'{x}'" for x in numbers]]
+    return f"cast(conv(substring(md5(concat_ws(':', {', '.join(parts)})), 1, 8), 16, 10) as bigint)"
+
+
+def plogp_sql(z: str) -> str:
+    return f"CASE WHEN {z} > 0 THEN {z} * ln(greatest({z}, 1e-300D)) ELSE 0D END"
+
+
 def activation(v: Column, rnd: int, seed: int, k: int, kind: str = "fast") -> Column:
     """The sub-round of round `rnd` in which node v may move."""
     return portable(v, rnd, seed) % k if kind == "portable" else F.pmod(F.xxhash64(v, F.lit(rnd), F.lit(seed)), F.lit(k))

@@ -10,10 +10,10 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import Column, DataFrame, Observation, Window
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 
-from graphmoves.functions.columns import DEC, activation, plogp, tie_key
+from graphmoves.functions.columns import DEC, activation_sql, plogp_sql, tie_sql
 from graphmoves.model import Config, WeightedGraph
 from graphmoves.session import bucketed, drop, kept_by, snapshot
 
@@ -56,12 +56,16 @@ def total_cut(stats: DataFrame) -> DataFrame:
     return stats.agg(F.sum("cut").alias("s"))
 
 
-def _attach(g: WeightedGraph, enriched: DataFrame, active: Column, cfg: Config, measures: tuple[str, ...]) -> DataFrame:
+def _active(v: str, rnd: int, i: int, cfg: Config) -> str:
+    return f"{activation_sql(v, rnd, cfg.seed, cfg.sub_rounds, cfg.hash_kind)} = {i}"
+
+
+def _attach(g: WeightedGraph, enriched: DataFrame, active: str, cfg: Config, measures: tuple[str, ...]) -> DataFrame:
     """v, c, x and the far end's cluster measures, for edges into active nodes."""
-    far = enriched.withColumnRenamed("id", "src")
+    far = enriched.selectExpr("id AS src", "c", *measures)
     if cfg.strategy == "broadcast_labels" and g.nodes.count() * LABEL_BYTES <= cfg.broadcast_bytes:
         far = F.broadcast(far)
-    return g.edges.where(active).join(far, "src").select(F.col("dst").alias("v"), "c", F.col("w").alias("x"), *measures)
+    return g.edges.where(active).join(far, "src").selectExpr("dst AS v", "c", "w AS x", *measures)
 
 
 def make_bids(g: WeightedGraph, state: DataFrame, stats: DataFrame | None, rnd: int, i: int, cfg: Config, measures: tuple[str, ...] = ("vol",)) -> DataFrame:
@@ -70,35 +74,30 @@ def make_bids(g: WeightedGraph, state: DataFrame, stats: DataFrame | None, rnd:
     The own cluster always bids, if only with x = 0, so that staying competes. Without stats the state holds the measures.
     """
     enriched = state if stats is None else state.join(stats.select("c", *measures), "c")
-    on = lambda v: activation(v, rnd, cfg.seed, cfg.sub_rounds, cfg.hash_kind) == i
-    zero = F.lit(0).cast(g.edges.schema["w"].dataType)
-    own = enriched.where(on(F.col("id"))).select(F.col("id").alias("v"), "c", zero.alias("x"), *measures, F.lit(1).alias("is_own"), "deg", "loop", "mass")
+    kind = g.edges.schema["w"].dataType.simpleString()
+    own = enriched.where(_active("id", rnd, i, cfg)).selectExpr("id AS v", "c", f"cast(0 AS {kind}) AS x", *measures, "1 AS is_own", "deg", "loop", "mass")
     if cfg.strategy == "cluster_local":
-        every = _cluster_local_links(g, enriched, on, measures).unionByName(own, allowMissingColumns=True).repartition("v")
+        every = _cluster_local_links(g, enriched, _active("dst", rnd, i, cfg), measures).unionByName(own, allowMissingColumns=True).repartition("v")
     else:
-        every = _attach(g, enriched.select("id", "c", *measures), on(F.col("dst")), cfg, measures).unionByName(own, allowMissingColumns=True)
+        every = _attach(g, enriched, _active("dst", rnd, i, cfg), cfg, measures).unionByName(own, allowMissingColumns=True)
         every = every.repartition(g.buckets, "v") if g.buckets else every.repartition("v")
-    fold = every.groupBy("v", "c").agg(F.sum("x").alias("x"), *[F.max(m).alias(m) for m in (*measures, "is_own", "deg", "loop", "mass")])
-    of = Window.partitionBy("v")  # what only the own cluster's row has, spread over the node's bids; already together
-    mine = F.max(F.when(F.col("is_own") == 1, F.col("c"))).over(of).alias("a")
-    return exclude_self(fold.select("v", "c", "x", *measures, mine, *[F.max(k).over(of).alias(k) for k in ("deg", "loop", "mass")]), measures)
+    fold = every.groupBy("v", "c").agg(F.expr("sum(x) AS x"), *[F.expr(f"max({m}) AS {m}") for m in (*measures, "is_own", "deg", "loop", "mass")])
+    # what only the own cluster's row has, spread over the node's bids, which are already together
+    return exclude_self(fold.selectExpr("v", "c", "x", *measures, *[f"max({x}) OVER (PARTITION BY v) AS {n}" for n, x in (("a", "CASE WHEN is_own = 1 THEN c END"), ("deg", "deg"), ("loop", "loop"), ("mass", "mass"))]), measures)
 
 
 def exclude_self(fold: DataFrame, measures: tuple[str, ...]) -> DataFrame:
     """Measures of each bidding cluster without the node."""
-    mine = F.col("c") == F.col("a")
-    less = {m: F.col(m) - F.col(OWN[m]) for m in measures if m in OWN}
-    if "cut" in measures:
-        less["cut"] = F.col("cut") - F.col("deg") + 2 * F.col("loop") + 2 * F.col("x")
-    return fold.select("v", "a", "c", "x", *measures, *[F.when(mine, less[m]).otherwise(F.col(m)).alias(f"{m}_wo") for m in measures], mine.cast("int").alias("is_own"), "deg", "loop", "mass")
+    less = {"cut": "cut - deg + 2 * loop + 2 * x"} | {m: f"{m} - {own}" for m, own in OWN.items()}
+    return fold.selectExpr("v", "a", "c", "x", *measures, *[f"CASE WHEN c = a THEN {less[m]} ELSE {m} END AS {m}_wo" for m in measures], "cast(c = a AS int) AS is_own", "deg", "loop", "mass")
 
 
-def _cluster_local_links(g: WeightedGraph, enriched: DataFrame, on, measures: tuple[str, ...]) -> DataFrame:
+def _cluster_local_links(g: WeightedGraph, enriched: DataFrame, active: str, measures: tuple[str, ...]) -> DataFrame:
     """Links as whole clusters see them: each with all its edges in one worker, bounded by the largest cluster's edges; for comparison only."""
     import pandas as pd
 
     kind = g.edges.schema["w"].dataType.simpleString()
-    elements = g.edges.withColumn("act", on(F.col("dst"))).join(enriched.select(F.col("id").alias("src"), "c", *measures), "src").where("act")
+    elements = g.edges.where(active).join(enriched.selectExpr("id AS src", "c", *measures), "src")
 
     def bid(pdf: pd.DataFrame) -> pd.DataFrame:
         x = pdf.groupby("v", as_index=False).w.sum()
@@ -110,65 +109,55 @@ def _cluster_local_links(g: WeightedGraph, enriched: DataFrame, on, measures: tu
 
 def modularity_gain(g: WeightedGraph) -> Column:
     """Order-free exact gain: x W - deg vol; times 2 / W^2 it is the change of the score."""
-    if isinstance(g.total, float):
-        return F.col("x") * F.lit(g.total) - F.col("deg") * F.col("vol_wo")
-    if g.exact:
-        return F.col("x") * F.lit(int(g.total)) - F.col("deg") * F.col("vol_wo")
-    d = lambda c: c.cast("decimal(19,0)")
-    return (d(F.col("x")) * d(F.lit(int(g.total)))).cast(DEC) - (d(F.col("deg")) * d(F.col("vol_wo"))).cast(DEC)
+    return F.expr(gain_sql(g, "modularity"))
 
 
-def _best(score: Column, measures: tuple[str, ...], cfg: Config) -> list[Column]:
-    """Aggregates over a node's bids: the best one, and what the node had. A pairwise reduction, no list per node."""
-    key = [score.alias("g"), F.col("is_own"), tie_key(F.col("c"), F.col("v"), cfg.seed, cfg.hash_kind).alias("t"), F.col("c")]
-    own_x = F.max(F.when(F.col("is_own") == 1, F.col("x"))).alias("own_x")
-    return [F.max(F.struct(*key, "x", *measures)).alias("b"), own_x, *[F.max(k).alias(k) for k in ("a", "deg", "loop", "mass")]]
-
-
-def _chosen(best: DataFrame, measures: tuple[str, ...]) -> DataFrame:
-    """v, c (chosen), a (before), x and own_x (weight to either), the chosen cluster's measures, deg, loop, mass."""
-    return best.select("v", F.col("b.c").alias("c"), "a", F.col("b.x").alias("x"), "own_x", *[F.col(f"b.{m}").alias(m) for m in measures], "deg", "loop", "mass")
+def gain_sql(g: WeightedGraph, objective: str) -> str:
+    """The gain of a bid by an objective that needs nothing but the bid."""
+    if objective == "constant_size":
+        n = g.nodes.agg(F.sum("mass")).first()[0] or 0
+        return f"x * {float(n) * n / float(g.total or 1)!r}D - mass * size_wo"
+    if objective.startswith("resolution:"):
+        return f"x * {float(g.total)!r}D - {float(objective[11:])!r}D * deg * vol_wo"
+    if isinstance(g.total, float):
+        return f"x * {g.total!r}D - deg * vol_wo"
+    if g.exact:
+        return f"x * {int(g.total)}L - deg * vol_wo"
+    d = lambda c: f"cast({c} AS decimal(19,0))"
+    return f"cast({d('x')} * {d(f'{int(g.total)}L')} AS {DEC}) - cast({d('deg')} * {d('vol_wo')} AS {DEC})"
 
 
-def choose_by_gain(bids: DataFrame, gain: Column, cfg: Config, measures: tuple[str, ...]) -> DataFrame:
-    """The best bid by a gain that needs nothing but the bid; the own cluster wins ties."""
-    return _chosen(bids.groupBy("v").agg(*_best(gain, measures, cfg)), measures)
+def _best(bids: DataFrame, score: str, measures: tuple[str, ...], cfg: Config) -> DataFrame:
+    """v, c (chosen), a (before), x and own_x (weight to either), the chosen cluster's measures, deg, loop, mass. A pairwise reduction, no list per node; the own cluster wins ties."""
+    tie = tie_sql("c", "v", cfg.seed, cfg.hash_kind)
+    best = f"max(named_struct('g', {score}, 'o', is_own, 't', {tie}, 'c', c, 'x', x, {', '.join(f"'{m}', {m}" for m in measures)})) AS b"
+    rest = [F.expr(f"max({k}) AS {k}") for k in ("a", "deg", "loop", "mass")]
+    return bids.groupBy("v").agg(F.expr(best), F.expr("max(CASE WHEN is_own = 1 THEN x END) AS own_x"), *rest).selectExpr("v", "b.c AS c", "a", "b.x AS x", "own_x", *[f"b.{m} AS {m}" for m in measures], "deg", "loop", "mass")
 
 
-def choose_modularity(bids: DataFrame, g: WeightedGraph, cfg: Config, gain: Column | None = None) -> DataFrame:
-    return choose_by_gain(bids, modularity_gain(g) if gain is None else gain, cfg, ("vol",))
+def choose_modularity(bids: DataFrame, g: WeightedGraph, cfg: Config) -> DataFrame:
+    return _best(bids, gain_sql(g, "modularity"), ("vol",), cfg)
 
 
-def map_delta(total: float) -> Column:
+def map_delta_sql(total: float) -> str:
     """Change of the map equation against a partition without the node, up to a constant of the node."""
-    w = float(total)
-    dn = F.col("deg") - 2 * F.col("loop")
-    cu = F.col("cut_wo") + dn - 2 * F.col("x")
-    p = lambda z: plogp(z / w)
-    return p(F.col("s0") - F.col("cut_wo") + cu) - 2 * (p(cu) - p(F.col("cut_wo"))) + (p(cu + F.col("vol_wo") + F.col("deg")) - p(F.col("cut_wo") + F.col("vol_wo")))
+    p = lambda z: f"({plogp_sql(f'(({z}) / {float(total or 1)!r}D)')})"
+    return f"{p('s0 - cut_wo + cu')} - 2 * ({p('cu')} - {p('cut_wo')}) + ({p('cu + vol_wo + deg')} - {p('cut_wo + vol_wo')})"
 
 
 def choose_map(bids: DataFrame, g: WeightedGraph, cut: DataFrame | int | float, cfg: Config) -> DataFrame:
     """The bid of least map equation; every bid needs the own cluster's, spread over the node's bids by a window. cut: all clusters', or a frame (s) of one row."""
-    over = Window.partitionBy("v")
     own = bids.crossJoin(F.broadcast(cut)) if isinstance(cut, DataFrame) else bids.withColumn("s", F.lit(cut))
-    mine = lambda m: F.max(F.when(F.col("is_own") == 1, F.col(m))).over(over)
-    own = own.withColumn("s0", F.col("s") - mine("cut") + mine("cut_wo"))
-    score = -F.round(map_delta(g.total), cfg.min_gain_digits)
-    return _chosen(own.groupBy("v").agg(*_best(score, ("vol", "cut"), cfg)), ("vol", "cut"))
+    mine = lambda m: f"max(CASE WHEN is_own = 1 THEN {m} END) OVER (PARTITION BY v)"
+    own = own.selectExpr("*", f"s - {mine('cut')} + {mine('cut_wo')} AS s0", "cut_wo + (deg - 2 * loop) - 2 * x AS cu")
+    return _best(own, f"-round({map_delta_sql(g.total)}, {cfg.min_gain_digits})", ("vol", "cut"), cfg)
 
 
-def choose(bids: DataFrame, g: WeightedGraph, objective: str, cfg: Config, cut: DataFrame | int | float | None = None) -> DataFrame:
+def choose(bids: DataFrame, g: WeightedGraph, objective: str, cfg: Config, cut: DataFrame | int | float | None = None, gain: str | None = None) -> DataFrame:
     """The chosen bid of every active node, by the objective."""
-    measures = measures_of(objective)
     if objective == "map":
         return choose_map(bids, g, cut, cfg)
-    if objective == "constant_size":
-        n = g.nodes.agg(F.sum("mass")).first()[0] or 0
-        return choose_by_gain(bids, F.col("x") * (float(n) * n / float(g.total or 1)) - F.col("mass") * F.col("size_wo"), cfg, measures)
-    if objective.startswith("resolution:"):
-        return choose_by_gain(bids, F.col("x") * float(g.total) - float(objective[11:]) * F.col("deg") * F.col("vol_wo"), cfg, measures)
-    return choose_modularity(bids, g, cfg)
+    return _best(bids, gain or gain_sql(g, objective), measures_of(objective), cfg)
 
 
 def apply_moves(state: DataFrame, moves: DataFrame) -> DataFrame:
@@ -195,6 +184,7 @@ def with_measures(g: WeightedGraph, labels: DataFrame | None, measures: tuple[st
 
 
 def _kept(g: WeightedGraph, state: DataFrame) -> DataFrame:
+    """A written state, bucketed as the graph is."""
     return bucketed(state, "id", g.buckets) if g.buckets else snapshot(state)
 
 
@@ -203,52 +193,46 @@ def _all_cuts(g: WeightedGraph, state: DataFrame) -> int | float:
     return state.groupBy("c").agg(F.max("cut").alias("cut")).agg(F.sum("cut")).first()[0] or 0
 
 
-def _both_moved(g: WeightedGraph, movers: DataFrame, on) -> DataFrame:
+def _both_moved(g: WeightedGraph, movers: DataFrame, active: tuple[str, str]) -> DataFrame:
     """c, d_inner: what one-sided updates of two neighbours that both moved have got wrong. Only edges with both ends active are read on."""
-    far = movers.select(F.col("v").alias("src"), F.col("a").alias("au"), F.col("c").alias("bu"))
-    near = movers.select(F.col("v").alias("dst"), F.col("a").alias("av"), F.col("c").alias("bv"))
-    e = g.edges.where(on(F.col("src")) & on(F.col("dst"))).join(far, "src").join(near, "dst")
-    fix = lambda c, d: F.struct(F.col(c).alias("c"), F.when(d[0], d[1] * F.col("w")).alias("d_inner"))
-    rows = F.array(fix("av", (F.expr("au = av"), 1)), fix("bv", (F.expr("au = bv"), -2)), fix("bv", (F.expr("bu = bv"), 1)))
-    return e.select(F.explode(rows).alias("r")).select("r.*").where("d_inner is not null")
+    e = g.edges.where(" AND ".join(active)).join(movers.selectExpr("v AS src", "a AS au", "c AS bu"), "src").join(movers.selectExpr("v AS dst", "a AS av", "c AS bv"), "dst")
+    fix = lambda c, same, times: f"named_struct('c', {c}, 'd_inner', CASE WHEN {same} THEN {times} * w END)"
+    return e.selectExpr(f"inline(array({fix('av', 'au = av', 1)}, {fix('bv', 'au = bv', -2)}, {fix('bv', 'bu = bv', 1)}))").where("d_inner IS NOT NULL")
 
 
-def changes(g: WeightedGraph, movers: DataFrame, measures: tuple[str, ...], on) -> DataFrame:
+def changes(g: WeightedGraph, movers: DataFrame, measures: tuple[str, ...], active: tuple[str, str]) -> DataFrame:
     """c and d_<measure>: how the movers change the measures of clusters. Rows only for clusters that nodes leave or enter."""
-    ends = [("a", -1, "own_x"), ("c", 1, "x")]
     kinds = {f"d_{m}": OWN[m] for m in measures if m in OWN}
-    row = lambda c, sign, x: F.struct(F.col(c).alias("c"), *[(sign * F.col(k)).alias(d) for d, k in kinds.items()], *([(sign * 2 * (F.col(x) + F.col("loop"))).alias("d_inner")] * ("cut" in measures)))
-    booked = movers.select(F.explode(F.array(*[row(*e) for e in ends])).alias("r")).select("r.*")
-    if "cut" not in measures:
-        return booked.groupBy("c").agg(*[F.sum(d).alias(d) for d in kinds])
-    both = _both_moved(g, movers, on)
-    every = booked.unionByName(both, allowMissingColumns=True)
-    inner = F.coalesce(F.sum("d_inner"), F.lit(0))
-    vol = F.coalesce(F.sum("d_vol"), F.lit(0))
-    return every.groupBy("c").agg(vol.alias("d_vol"), (vol - inner).alias("d_cut"))
-
-
-def _step(g: WeightedGraph, state: DataFrame, cut, rnd: int, i: int, cfg: Config, objective: str, size) -> tuple[DataFrame, int | float | None, int]:
+    inner = "cut" in measures
+    row = lambda c, sign, x: f"named_struct('c', {c}, {', '.join(f"'{d}', {sign} * {k}" for d, k in kinds.items())}{f", 'd_inner', {sign} * 2 * ({x} + loop)" * inner})"
+    booked = movers.selectExpr(f"inline(array({row('a', -1, 'own_x')}, {row('c', 1, 'x')}))")
+    if not inner:
+        return booked.groupBy("c").agg(*[F.expr(f"sum({d}) AS {d}") for d in kinds])
+    every = booked.unionByName(_both_moved(g, movers, active), allowMissingColumns=True)
+    return every.groupBy("c").agg(F.expr("coalesce(sum(d_vol), 0) AS d_vol"), F.expr("coalesce(sum(d_vol), 0) - coalesce(sum(d_inner), 0) AS d_cut"))
+
+
+def _step(g: WeightedGraph, state: DataFrame, cut, rnd: int, i: int, cfg: Config, objective: str, gain: str | None = None) -> tuple[DataFrame, int | float | None, int]:
     """State, sum of cuts and number of movers after a sub-round. One shuffle of the active edges; all else is of nodes or movers."""
     measures = measures_of(objective)
     seen = Observation()
-    moves = choose(make_bids(g, state, None, rnd, i, cfg, measures), g, objective, cfg, cut) if size is None else choose_by_gain(make_bids(g, state, None, rnd, i, cfg, measures), size, cfg, measures)
+    moves = choose(make_bids(g, state, None, rnd, i, cfg, measures), g, objective, cfg, cut, gain)
     moves = snapshot(moves.where("c <> a").observe(seen, F.count(F.lit(1)).alias("n")))
     moved = seen.get["n"]
     if not moved:
         drop(moves)
         return state, cut, 0
-    on = lambda v: activation(v, rnd, cfg.seed, cfg.sub_rounds, cfg.hash_kind) == i
-    to = moves.select(F.col("v").alias("id"), F.col("c").alias("_c"), *[F.col(m).alias(f"_{m}") for m in measures])
-    new = state.join(to, "id", "left").select("id", F.coalesce("_c", "c").alias("c"), "deg", "loop", "mass", *[F.coalesce(f"_{m}", m).alias(m) for m in measures])
+    to = moves.selectExpr("v AS id", "c AS _c", *[f"{m} AS _{m}" for m in measures])
+    kept = ["id", "deg", "loop", "mass"]
+    new = state.join(to, "id", "left").selectExpr(*kept, "coalesce(_c, c) AS c", *[f"coalesce(_{m}, {m}) AS {m}" for m in measures])
     delta = None
     if cfg.stats != "per_round":
-        delta = changes(g, moves, measures, on)
+        delta = changes(g, moves, measures, (_active("src", rnd, i, cfg), _active("dst", rnd, i, cfg)))
         if "cut" in measures:
             summed = Observation()
             delta = snapshot(delta.observe(summed, F.sum("d_cut").alias("s")))
             cut += summed.get["s"] or 0
-        new = new.join(delta, "c", "left").select("id", "c", "deg", "loop", "mass", *[(F.col(m) + F.coalesce(f"d_{m}", F.lit(0))).alias(m) for m in measures])
+        new = new.join(delta, "c", "left").selectExpr(*kept, "c", *[f"{m} + coalesce(d_{m}, 0) AS {m}" for m in measures])
     new = _kept(g, new)
     drop(moves, delta, state)
     return new, cut, moved
@@ -275,10 +259,7 @@ def local_moving(g: WeightedGraph, labels: DataFrame | None, cfg: Config, object
         raise ValueError(f"unknown strategy {cfg.strategy!r}")
     state = _kept(g, with_measures(g, labels, measures))
     cut = _all_cuts(g, state) if "cut" in measures else None
-    size = None
-    if objective == "constant_size":  # the same for all sub-rounds
-        n = g.nodes.agg(F.sum("mass")).first()[0] or 0
-        size = F.col("x") * (float(n) * n / float(g.total or 1)) - F.col("mass") * F.col("size_wo")
+    gain = None if objective == "map" else gain_sql(g, objective)  # the same for all sub-rounds
     trace = []
 
     def note(rnd: int, i: int, moved: int) -> None:
@@ -291,7 +272,7 @@ def local_moving(g: WeightedGraph, labels: DataFrame | None, cfg: Config, object
             drop(old)
         moved = 0
         for i in range(cfg.sub_rounds):
-            state, cut, n = _step(g, state, cut, rnd, i, cfg, objective, size)
+            state, cut, n = _step(g, state, cut, rnd, i, cfg, objective, gain)
             moved += n
             if cfg.trace == "sub_rounds":
                 note(rnd, i, n)

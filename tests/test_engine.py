@@ -69,7 +69,7 @@ def test_measures_kept_equal_measures_from_scratch(spark):
     cut = M._all_cuts(g, state)
     moved = 0
     for i in range(3):
-        state, cut, n = M._step(g, state, cut, i // 2, i % 2, cfg, "map", None)
+        state, cut, n = M._step(g, state, cut, i // 2, i % 2, cfg, "map")
         moved += n
         kept = {tuple(r) for r in state.select("c", "vol", "cut").distinct().collect()}
         assert kept == {tuple(r) for r in M.cluster_stats(g, M.state_of(g, state), True).select("c", "vol", "cut").collect()}
