@@ -39,8 +39,18 @@ def entry(sql: str | None = None, name: str | None = None):
     return keep
 
 
+_BUILT: dict = {}
+
+
 def graph(name: str):
-    return lambda s, d: from_pairs(graphs.GRAPHS[name](s, d))
+    """Builds a table graph; a session builds each graph of a folder once, since its tables stay in the shared folder."""
+    def built(s: SparkSession, d: str):
+        key = (s.sparkContext.applicationId, s._jsparkSession.sessionUUID(), d, name)
+        if key not in _BUILT:
+            _BUILT[key] = from_pairs(graphs.GRAPHS[name](s, d))
+        return _BUILT[key]
+
+    return built
 
 
 trade, planted = graph("trade"), graph("planted")

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -156,7 +157,8 @@ def lfr(spark: SparkSession, n: int, mu: float = 0.4, degree=(50, 10000, 2.0), c
     """Power-law degrees and community sizes with mixing mu: pairs (a, b, w) and truth (id, c).
 
     Communities are drawn until their sizes cover n; stubs of a node are dealt inside its community and
-    across, each paired by hashed order. Loops and doubled pairs go, so the achieved mixing differs a little.
+    across, each paired by hashed order. Loops, and pairs of one community among those across, are dealt anew;
+    what is left of them after three turns goes, as do doubled pairs.
     """
     u = lambda *x: (F.pmod(F.xxhash64(*x, F.lit(seed)), F.lit(1 << 52)) / float(1 << 52))
     mean = (community[1] - community[0]) / math.log(community[1] / community[0]) if community[2] == 1 else (community[0] + community[1]) / 2
@@ -167,14 +169,21 @@ def lfr(spark: SparkSession, n: int, mu: float = 0.4, degree=(50, 10000, 2.0), c
     spans = spans.select("c", F.explode(F.sequence(F.col("lo"), F.least("hi", F.lit(n)) - 1)).alias("id"))
     nodes = spans.select("id", "c", power_law(u("id", F.lit("deg")), *degree).cast("long").alias("k"))
     nodes = snapshot(nodes)
-    stubs = nodes.select("id", "c", F.explode(F.sequence(F.lit(1), F.col("k"))).alias("j")).select("id", "c", "j", (u("id", "j", F.lit("mix")) < mu).alias("out"), F.xxhash64("id", "j", F.lit(seed)).alias("h"))
-
-    def paired(own: DataFrame, keys: list[str]) -> DataFrame:
-        r = own.withColumn("r", F.row_number().over(Window.partitionBy(*keys).orderBy("h")) - 1)
-        half = r.withColumn("pair", F.floor(F.col("r") / 2))
-        return half.groupBy(*keys, "pair").agg(F.min("id").alias("a"), F.max("id").alias("b")).where("a < b").select("a", "b")
-
-    inside = paired(stubs.where("not out"), ["c"])
-    # across: hashed buckets of near equal size stand for one global order
-    across = paired(stubs.where("out").withColumn("bucket", F.pmod(F.xxhash64("h"), F.lit(max(1, n // 2000)))), ["bucket"])
-    return inside.union(across).distinct().select("a", "b", F.lit(1).cast("long").alias("w")), nodes.select("id", "c")
+    stubs = nodes.select("id", "c", F.explode(F.sequence(F.lit(1), F.col("k"))).alias("j")).select("id", "c", "j", (u("id", "j", F.lit("mix")) < mu).alias("out"))
+
+    def dealt(own: DataFrame, apart: bool) -> DataFrame:
+        """Pairs of stubs by hashed order, of one community or (apart) of two; those that don't fit are dealt anew, three times in all."""
+        done, rest = [], own.select("id", "c", "j")
+        for t in range(3):
+            h = F.xxhash64("id", "j", F.lit(seed), F.lit(t))
+            # across communities, hashed buckets of near equal size stand for one global order
+            group = F.pmod(F.xxhash64("id", "j", F.lit(seed), F.lit(t + 100)), F.lit(max(1, n // 2000))) if apart else F.col("c")
+            r = rest.select("id", "c", "j", group.alias("group"), h.alias("h")).withColumn("r", F.row_number().over(Window.partitionBy("group").orderBy("h")) - 1)
+            two = r.groupBy("group", F.floor(F.col("r") / 2).alias("pair")).agg(F.min(F.struct("id", "c", "j")).alias("x"), F.max(F.struct("id", "c", "j")).alias("y"))
+            two = snapshot(two.withColumn("fits", F.expr("x.id <> y.id" + " and x.c <> y.c" * apart)))
+            done.append(two.where("fits").select(F.col("x.id").alias("a"), F.col("y.id").alias("b")))
+            rest = two.where("not fits").select(F.explode(F.array_distinct(F.array("x", "y"))).alias("s")).select("s.*")
+        return reduce(DataFrame.union, done)
+
+    pairs = dealt(stubs.where("not out"), False).union(dealt(stubs.where("out"), True)).distinct()
+    return pairs.select("a", "b", F.lit(1).cast("long").alias("w")), nodes.select("id", "c")
