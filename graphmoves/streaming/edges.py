@@ -83,7 +83,7 @@ def cluster_batches(events: DataFrame, cfg=None, on_labels=None) -> list[dict]:
     """foreachBatch: merge each batch's edges into the graph, start from the last labels, move, keep the labels."""
     from graphmoves.model import Config
     from graphmoves.plans.moving import local_moving
-    from graphmoves.session import snapshot
+    from graphmoves.session import drop, snapshot
     from graphmoves.sources.build import from_pairs
 
     seen: dict = {"pairs": None, "labels": None, "log": []}
@@ -96,7 +96,9 @@ def cluster_batches(events: DataFrame, cfg=None, on_labels=None) -> list[dict]:
         start = None
         if seen["labels"] is not None:
             start = g.nodes.select("id").join(seen["labels"], "id", "left").select("id", F.coalesce("c", "id").alias("c"))
+        before = seen["labels"]
         seen["labels"], trace = local_moving(g, start, cfg or Config(max_rounds=2), "modularity")
+        drop(old, before, g.edges, g.nodes)
         seen["log"].append({"batch": number, "moved": trace[-1][3], "clusters": trace[-1][4]})
         if on_labels:
             on_labels(seen["labels"], number)
