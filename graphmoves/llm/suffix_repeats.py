@@ -26,12 +26,14 @@ import hashlib
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from graphmoves.llm.common import Rolling, blocks, doc_key, drop_snapshot, mix64, packed, real_id, snapshot, utf8, words_of
 
 MIN_BYTES = 400
+#: Passages of more than 50 whole words are reported, not removed, where they take fewer bytes.
+WORDS = 51
 #: Distinct segments of one bucket that one task sorts together: at most 1 KB each, 1 MB. Larger buckets are refined.
 MOST = 1024
 _HASH = Rolling(seed=1)
@@ -294,6 +296,76 @@ def passage_spans(docs: DataFrame, words: int, under: int) -> DataFrame:
     return spans
 
 
+def word_segments(part: np.ndarray, o: np.ndarray, words: int, under: int):
+    """Segments as by `anchors_of`, of windows of `words` whole words below `under` bytes: hash of the anchor's words // 3
+    words, document number, first and end byte, distance of the anchor from the first."""
+    start, end, first = words_of(part, o)
+    m, k = len(start) - words + 1, words // 3
+    own = np.empty(0, np.int64)
+    if m > 0:
+        doc = np.searchsorted(first, np.arange(m), side="right") - 1
+        own = np.flatnonzero((end[words - 1 :] - start[:m] < under) & (np.arange(m) + words <= first[doc + 1]))
+    if not len(own):
+        return (np.empty(0, np.uint64), *(np.empty(0, np.int64),) * 4)
+    gram = mix64(_HASH.ranges(_HASH.prefix(part), start[: len(start) - k + 1], end[k - 1 :]))
+    least = _sliding_min((gram & np.uint64(0xFFFFFFFF00000000)) | np.arange(len(gram), dtype=np.uint64), words - k + 1)
+    at = (least & np.uint64(0xFFFFFFFF)).astype(np.int64)[own]
+    head = np.flatnonzero(np.concatenate([[True], (at[1:] != at[:-1]) | (own[1:] != own[:-1] + 1)]))
+    tail = np.concatenate([head[1:] - 1, [len(own) - 1]])
+    lo = start[own[head]]
+    return gram[at[head]], doc[own[head]], lo, end[own[tail] + words - 1], start[at[head]] - lo
+
+
+def word_passages(docs: DataFrame, words: int, under: int) -> DataFrame:
+    """d, tk, passages array<struct<lo, hi>>: stretches of `words` whole words, shorter than `under` bytes, that also start elsewhere.
+
+    Overlaps count, as for bytes. Equal segments are counted whole; only where distinct ones share an anchor is one of each
+    kind taken apart into its windows.
+    """
+    def anchored(batches):
+        for b in batches:
+            data, off = utf8(b.column(2))
+            for i, j in blocks(off):
+                part, o = data[off[i] : off[j]], off[i : j + 1] - off[i]
+                h, doc, lo, hi, p = word_segments(part, o, words, under)
+                view = memoryview(np.ascontiguousarray(part))
+                sh = [xxhash.xxh3_64_intdigest(view[x:y], z) for x, y, z in zip(lo.tolist(), hi.tolist(), p.tolist(), strict=True)]
+                row = pa.array(doc + i)
+                yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(np.array(sh, np.uint64).view(np.int64)), b.column(0).take(row), b.column(1).take(row),
+                                                  *(pa.array((x - o[doc]).astype(np.int32)) for x in (lo, hi))], names=["h", "sh", "d", "tk", "lo", "hi"])
+
+    def windows(batches):
+        for b in batches:
+            data, off = utf8(b.column(0))
+            for i in range(len(off) - 1):
+                text = data[off[i] : off[i + 1]]
+                start, end, _ = words_of(text, np.array([0, len(text)]))
+                rows = []
+                for seg in b.column(1)[i].as_py():
+                    f, l = np.searchsorted(start, seg["lo"]), np.searchsorted(end, seg["hi"]) - words + 2
+                    rows += [(xxhash.xxh3_128_digest(text[x:y].tobytes()), seg["h"], seg["sh"], x - seg["lo"], y - seg["lo"]) for x, y in zip(start[f:l].tolist(), end[f + words - 1 : l + words - 1].tolist(), strict=True)]
+                kinds = [pa.binary(), pa.int64(), pa.int64(), pa.int32(), pa.int32()]
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], names=["w", "h", "sh", "lo", "hi"])
+
+    found = docs.select(*doc_key(), F.coalesce("text", F.lit("")).alias("text")).mapInArrow(anchored, "h long, sh long, d long, tk long, lo int, hi int")
+    twice = snapshot(found.groupBy("h").agg(F.count("*").alias("m")).where("m > 1").select("h"))
+    found = snapshot(found.join(twice, "h"))
+    kinds = snapshot(found.groupBy("h", "sh").agg(F.count("*").alias("m"), F.min(F.struct("d", "tk", "lo", "hi")).alias("r")))
+    several = kinds.groupBy("h").agg(F.count("*").alias("kinds"), F.min("m").alias("least")).where("kinds > 1 and least = 1").select("h")
+    lists = kinds.join(several, "h").groupBy("r.d", "r.tk").agg(F.collect_list(F.struct("h", "sh", "r.lo", "r.hi")).alias("segs"))  # at most a document's own segments
+    have = docs.select(*doc_key(), "text").join(lists, ["d", "tk"]).dropDuplicates(["d", "tk"]).select("text", "segs")
+    pieces = snapshot(have.mapInArrow(windows, "w binary, h long, sh long, lo int, hi int"))
+    shared = snapshot(pieces.groupBy("w").agg(F.count("*").alias("m")).where("m > 1").select("w"))
+    whole = kinds.where("m > 1").select("h", "sh", F.lit(0).alias("lo"), (F.col("r.hi") - F.col("r.lo")).alias("hi"))
+    marks = whole.union(pieces.join(shared, "w").select("h", "sh", "lo", "hi")).groupBy("h", "sh").agg(F.collect_set(F.struct("lo", "hi")).alias("marks"))  # ranges of one segment
+    own = found.select("h", "sh", "d", "tk", F.col("lo").alias("at")).join(marks, ["h", "sh"])
+    moved = F.transform("marks", lambda m: F.struct((F.col("at") + m["lo"]).alias("lo"), (F.col("at") + m["hi"]).alias("hi")))
+    spans = snapshot(own.groupBy("d", "tk").agg(F.array_distinct(F.flatten(F.collect_list(moved))).alias("passages")))  # ranges of one document
+    for old in (twice, found, kinds, pieces, shared):
+        drop_snapshot(old)
+    return spans
+
+
 def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     out: list[tuple[int, int]] = []
     for lo, hi in sorted(spans):
@@ -312,31 +384,38 @@ def _kept(text: bytes, cut: list[tuple[int, int]]) -> bytes:
     return b"".join([*parts, text[at:]])
 
 
-def _with_spans(docs: DataFrame, spans: DataFrame) -> DataFrame:
-    """doc (all columns), text, lo array<int>, hi array<int>."""
+def _with_spans(docs: DataFrame, spans: DataFrame, *more: Column) -> DataFrame:
+    """doc (all columns), text, lo array<int>, hi array<int>, and `more` of the spans' columns."""
     rows = packed(docs).select("doc", *[c.alias(x) for c, x in zip(doc_key("doc.doc_id", "doc.text"), ("d", "tk"), strict=True)])
     joined = rows.join(spans, ["d", "tk"], "left")
-    return joined.select("doc", F.col("doc.text").alias("text"), F.transform("spans", lambda s: s["lo"]).alias("lo"), F.transform("spans", lambda s: s["hi"]).alias("hi"))
+    return joined.select("doc", F.col("doc.text").alias("text"), F.transform("spans", lambda s: s["lo"]).alias("lo"), F.transform("spans", lambda s: s["hi"]).alias("hi"), *more)
+
 
+def repeat_digest(docs: DataFrame, min_bytes: int = MIN_BYTES, most: int = MOST, words: int = WORDS) -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256, text (what is left; a character cut in two shows as U+FFFD), n_repeated.
 
-def repeat_digest(docs: DataFrame, min_bytes: int = MIN_BYTES, most: int = MOST) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256, text (what is left; a character cut in two shows as U+FFFD)."""
-    names, kinds = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "text"], [pa.int64()] * 3 + [pa.string()] * 2
+    n_repeated: bytes that repeats cover, with those passages of `words` words that are too short in bytes to be removed.
+    """
+    names, kinds = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "text", "n_repeated"], [pa.int64()] * 3 + [pa.string()] * 2 + [pa.int64()]
 
     def run(batches):
         for b in batches:
             data, off = utf8(b.column(1))
             for first, end in blocks(off):
                 rows = []
-                for i, lo, hi in zip(range(first, end), b.column(2).slice(first, end - first).to_pylist(), b.column(3).slice(first, end - first).to_pylist(), strict=True):
-                    text, cut = data[off[i] : off[i + 1]].tobytes(), merged(list(zip(lo or [], hi or [], strict=True)))
+                for i, *ends in zip(range(first, end), *(b.column(c).slice(first, end - first).to_pylist() for c in range(2, 6)), strict=True):
+                    lo, hi, begin, stop = (x or [] for x in ends)
+                    text, cut = data[off[i] : off[i + 1]].tobytes(), merged(list(zip(lo, hi, strict=True)))
                     kept = _kept(text, cut)
-                    rows.append((len(text), sum(y - x for x, y in cut), len(cut), hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "replace")))
+                    both = merged([*cut, *zip(begin, stop, strict=True)])
+                    rows.append((len(text), sum(y - x for x, y in cut), len(cut), hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "replace"), sum(y - x for x, y in both)))
                 yield pa.RecordBatch.from_arrays([b.column(0).slice(first, end - first), *(pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True))], names=names)
 
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
-    rows = _with_spans(own, repeated_spans(own, min_bytes, most)).select(F.col("doc.doc_id").alias("doc_id"), "text", "lo", "hi")
-    return rows.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, text string")
+    spans = repeated_spans(own, min_bytes, most).join(word_passages(own, words, min_bytes), ["d", "tk"], "full")
+    rows = _with_spans(own, spans, F.transform("passages", lambda s: s["lo"]).alias("begin"), F.transform("passages", lambda s: s["hi"]).alias("stop"))
+    rows = rows.select(F.col("doc.doc_id").alias("doc_id"), "text", "lo", "hi", "begin", "stop")
+    return rows.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, text string, n_repeated long")
 
 
 def without_repeats(docs: DataFrame, min_bytes: int = MIN_BYTES, most: int = MOST, words: int | None = None) -> DataFrame:

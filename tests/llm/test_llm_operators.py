@@ -2,6 +2,7 @@
 
 import hashlib
 import random
+import re
 import zlib
 from collections import Counter
 
@@ -67,6 +68,24 @@ def test_repeats_on_table(spark):
     check_repeats({i: got[d] for i, d in enumerate(ids)}, [rows[d] for d in ids], 400)
 
 
+def test_short_passages_of_many_words_are_reported(spark, texts):
+    rng = random.Random(9)
+    short = lambda n: " ".join("".join(rng.choice("abcdefgh") for _ in range(rng.randrange(1, 4))) for _ in range(n))
+    p, q, own = short(70), short(50), [short(rng.randrange(1, 150)) for _ in range(12)]
+    ts = [f"{own[0]} {p} end", f"{p}\n{own[1]}", f"{own[2]} {p[: len(p) // 2]} {own[3]}", f"{own[4]} {p[9:]}", f"{own[5]} {q} in", f"{own[6]} {q} out", own[7], own[7], f"{own[8]} {p} {own[9]} {p}", f"{own[10]} {p[:-1]}", "é x " * 60, *ODD]
+    got = {r.doc_id: r for r in suffix_repeats.repeat_digest(texts(ts), 400).collect()}
+    spans = [[(m.start(), m.end()) for m in re.finditer(rb"[^\x20\x09-\x0D]+", (t or "").encode())] for t in ts]
+    windows = [(i, w[k][0], w[k + 50][1]) for i, w in enumerate(spans) for k in range(len(w) - 50)]
+    count = Counter((ts[i] or "").encode()[a:z] for i, a, z in windows)
+    hit = brute_removed([(t or "").encode() for t in ts], 400)
+    removed = [int(h.sum()) for h in hit]
+    for i, a, z in windows:
+        if count[(ts[i] or "").encode()[a:z]] > 1:
+            hit[i][a:z] = True
+    assert [(got[i].n_removed, got[i].n_repeated) for i in range(len(ts))] == [(n, int(h.sum())) for n, h in zip(removed, hit, strict=True)]
+    assert len(p) < 400 and got[0].n_removed == 0 and got[0].n_repeated == len(p) and got[4].n_repeated == 0
+
+
 def test_interval_tree_lists_every_interval():
     lcp = np.array([1, 3, 3, 0, 2])
     assert sorted(suffix_repeats.interval_tree(lcp)) == [(1, 0, 3), (2, 4, 5), (3, 1, 3)]
