@@ -357,11 +357,11 @@ def word_passages(docs: DataFrame, words: int, under: int) -> DataFrame:
     pieces = snapshot(have.mapInArrow(windows, "w binary, h long, sh long, lo int, hi int"))
     shared = snapshot(pieces.groupBy("w").agg(F.count("*").alias("m")).where("m > 1").select("w"))
     whole = kinds.where("m > 1").select("h", "sh", F.lit(0).alias("lo"), (F.col("r.hi") - F.col("r.lo")).alias("hi"))
-    marks = whole.union(pieces.join(shared, "w").select("h", "sh", "lo", "hi")).groupBy("h", "sh").agg(F.collect_set(F.struct("lo", "hi")).alias("marks"))  # ranges of one segment
+    marks = snapshot(whole.union(pieces.join(shared, "w").select("h", "sh", "lo", "hi")).groupBy("h", "sh").agg(F.collect_set(F.struct("lo", "hi")).alias("marks")))  # ranges of one segment
     own = found.select("h", "sh", "d", "tk", F.col("lo").alias("at")).join(marks, ["h", "sh"])
     moved = F.transform("marks", lambda m: F.struct((F.col("at") + m["lo"]).alias("lo"), (F.col("at") + m["hi"]).alias("hi")))
-    spans = snapshot(own.groupBy("d", "tk").agg(F.array_distinct(F.flatten(F.collect_list(moved))).alias("passages")))  # ranges of one document
-    for old in (twice, found, kinds, pieces, shared):
+    spans = snapshot(own.groupBy("d", "tk").agg(F.flatten(F.collect_set(moved)).alias("passages")))  # ranges of one document
+    for old in (twice, found, kinds, pieces, shared, marks):
         drop_snapshot(old)
     return spans
 
